@@ -44,6 +44,13 @@ def _words(c: Column) -> Column:
     return F.filter(F.split(c, WORD_GAP), lambda w: w != "")
 
 
+def _has_phrase(text: Column, rules: LineRules) -> Column:
+    found = F.lit(False)
+    for p in rules.boilerplate:
+        found = found | F.lower(text).contains(p)
+    return found
+
+
 def line_fails(line: Column, rules: LineRules) -> Column:
     """Whether a line breaks a rule; a line without words never does."""
     bare = _drop(line, GAP_CHARS)
@@ -51,15 +58,38 @@ def line_fails(line: Column, rules: LineRules) -> Column:
     n_words = F.size(_words(line))
     pipes = F.length(line) - F.length(_drop(line, "|"))
     symbols = F.length(line) - F.length(_drop(line, SYMBOLS))
-    low = F.lower(line)
-    phrases = F.lit(False)
-    for p in rules.boilerplate:
-        phrases = phrases | low.contains(p)
+    phrases = _has_phrase(line, rules)
     navigation = (pipes >= rules.min_pipes) & (pipes >= rules.pipe_words * n_words)
     punctuation = symbols > rules.symbol_share * n_chars
     return (n_chars > 0) & (navigation | punctuation | (phrases & (n_words <= rules.short_words)))
 
 
+def _let(value: Column, body) -> Column:
+    """Bind an array to a lambda variable: Catalyst would inline it into lambdas and compute it for every element."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def _word_counts(words: Column) -> Column:
+    """Number of words, and of words in 8-word windows that stand twice or more, the first finding included."""
+    n = F.size(words)
+    hashes = _let(
+        F.transform(words, lambda w: F.xxhash64(w)),
+        lambda coded: F.when(n >= WINDOW, F.transform(F.sequence(F.lit(0), n - WINDOW), lambda i: F.xxhash64(*[F.get(coded, i + k) for k in range(WINDOW)]))).otherwise(F.array().cast("array<bigint>")),
+    )
+    return _let(hashes, lambda h: F.struct(n.cast("long").alias("n_words"), F.when(F.size(F.array_distinct(h)) == F.size(h), F.lit(0)).otherwise(_covered(h)).cast("long").alias("n_repeat_words")))
+
+
+def _covered(hashes: Column) -> Column:
+    """Words under the windows whose hash stands twice or more."""
+    ordered = F.sort_array(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+    again = lambda p: F.filter(
+        p, lambda x, i: ((i > 0) & (F.get(p, i - 1)["h"] == x["h"])) | F.coalesce(F.get(p, i + 1)["h"] == x["h"], F.lit(False))
+    )
+    starts = F.sort_array(F.transform(_let(ordered, again), lambda x: x["i"]))
+    gaps = lambda at: F.transform(at, lambda p, i: F.coalesce(F.least(F.lit(WINDOW), F.get(at, i + 1) - p), F.lit(WINDOW)))
+    return F.aggregate(_let(starts, gaps), F.lit(0), lambda a, g: a + g)
+
+
 def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: LineRules = LineRules(), with_text: bool = True) -> DataFrame:
     """Base counts, verdict and, with ``with_text``, the cleaned text of every whole document.
 
@@ -69,28 +99,15 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     text = F.coalesce(F.col(f"`{text_col}`"), F.lit(""))
     df = prune(docs, id_col, text_col).select(F.col(f"`{id_col}`"), text.alias("t"))
-    df = df.withColumn("words", _words(F.col("t")))
-    df = df.withColumn("coded", F.transform("words", lambda w: F.xxhash64(w)))
-    n = F.size("words")
-    hashes = F.when(
-        n >= WINDOW, F.transform(F.sequence(F.lit(1), n - (WINDOW - 1)), lambda i: F.xxhash64(F.slice(F.col("coded"), i, WINDOW)))
-    ).otherwise(F.array().cast("array<bigint>"))
-    df = df.select(f"`{id_col}`", "t", n.cast("long").alias("n_words"), hashes.alias("hashes"))
-    some = F.size(F.array_distinct("hashes")) < F.size("hashes")
-    df = df.withColumn("pairs", F.when(some, F.sort_array(F.transform("hashes", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))))
-    pairs, m = F.col("pairs"), F.size("pairs")
-    again = F.filter(
-        pairs,
-        lambda x, i: ((i > 0) & (F.get(pairs, i - 1)["h"] == x["h"])) | ((i < m - 1) & (F.get(pairs, i + 1)["h"] == x["h"])),
-    )
-    df = df.withColumn("at", F.when(pairs.isNotNull(), F.sort_array(F.transform(again, lambda x: x["i"]))))
-    at = F.col("at")
-    gaps = F.transform(at, lambda p, i: F.coalesce(F.least(F.lit(WINDOW), F.get(at, i + 1) - p), F.lit(WINDOW)))
-    repeated = F.when(at.isNull(), F.lit(0)).otherwise(F.aggregate(gaps, F.lit(0), lambda a, g: a + g)).cast("long")
+    counted = _let(_words(F.col("t")), _word_counts)
+    df = df.select(f"`{id_col}`", "t", counted.alias("c"))
+    df = df.select(f"`{id_col}`", "t", F.col("c.n_words").alias("n_words"), F.col("c.n_repeat_words").alias("n_repeat_words"))
     df = df.withColumn("lines", F.split("t", "\n", -1))
     with_words = F.filter("lines", lambda x: _drop(x, GAP_CHARS) != "")
-    df = df.select(f"`{id_col}`", "t", "n_words", repeated.alias("n_repeat_words"), "lines", with_words.alias("full"))
-    df = df.withColumn("kept_lines", F.filter("lines", lambda x: ~line_fails(x, rules)))
+    df = df.select(f"`{id_col}`", "t", "n_words", "n_repeat_words", "lines", with_words.alias("full"))
+    # a text without any symbol or phrase has no failing line; most texts end here
+    suspect = (F.length("t") > F.length(_drop(F.col("t"), SYMBOLS))) | _has_phrase(F.col("t"), rules)
+    df = df.withColumn("kept_lines", F.when(suspect, F.filter("lines", lambda x: ~line_fails(x, rules))).otherwise(F.col("lines")))
     df = df.select(
         f"`{id_col}`",
         "n_words",
