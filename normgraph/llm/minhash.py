@@ -4,7 +4,7 @@ A sketch has ``bins`` coordinates.  In round i < bins every shingle is placed in
 rounds all shingles go to the one bin whose turn it is.  A coordinate keeps the smallest value of the first
 round that reached it, so all coordinates fill after at most twice ``bins`` rounds.  Bands of coordinates
 propose pairs.  Equal sets are one class from the start; inside a bucket, members are first compared with single
-centres (two rounds with different centres), and only members of different components that are left are paired,
+centres (rounds with different centres), and only members of different components that are left are paired,
 after their sketches' agreement has been compared with a bound far below the similarity.  Every link is
 confirmed on the full sets.
 """
@@ -33,6 +33,7 @@ class NearDupConfig:
     bins: int = 128
     rows: int = 4
     seed: int = 42
+    centres: tuple[int, ...] = (4, 8)  # centres a bucket in each later round
 
 
 def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
@@ -203,10 +204,9 @@ def near_duplicates(docs: DataFrame, cfg: NearDupConfig = NearDupConfig()) -> Da
     edges = materialise(verify(tested, texts, cfg).unionByName(same_id.where("a <> b")), "edges")
     labels = materialise(connect(labels, edges), "labels")
 
-    mixed = _mixed_buckets(buckets, labels)
-    centre = mixed.groupBy("key").agg(F.min_by("rep", F.xxhash64("rep", "key")).alias("b"), F.min_by("label", F.xxhash64("rep", "key")).alias("label_b"))
-    second = mixed.join(centre, "key").where("label <> label_b").select(F.least("rep", "b").alias("a"), F.greatest("rep", "b").alias("b")).distinct()
-    labels = materialise(connect(labels, materialise(verify(second, texts, cfg), "edges")), "labels")
+    for turn, n in enumerate(cfg.centres):
+        again = _centre_pairs(_mixed_buckets(buckets, labels), n, turn)
+        labels = materialise(connect(labels, materialise(verify(again, texts, cfg), "edges")), "labels")
 
     rest = _mixed_buckets(buckets, labels)
     x = rest.select("key", F.col("rep").alias("a"), F.col("label").alias("la"))
@@ -229,6 +229,20 @@ def _mixed_buckets(buckets: DataFrame, labels: DataFrame) -> DataFrame:
     return materialise(named.join(mixed, "key", "left_semi").select("key", "rep", "label"), "mixed")
 
 
+def _centre_pairs(mixed: DataFrame, n: int, turn: int) -> DataFrame:
+    """Members outside a bucket's largest component, each with ``n`` hash-chosen members of that component.
+
+    The smaller side of each bucket is paired with a fixed number of centres: at most ``n`` rows a member.
+    """
+    sizes = mixed.groupBy("key", "label").agg(F.count(F.lit(1)).alias("n"))
+    largest = sizes.groupBy("key").agg(F.max_by("label", F.struct("n", "label")).alias("main"))
+    named = mixed.join(largest, "key")
+    picks = [F.min_by("rep", F.xxhash64("rep", "key", F.lit(100 * turn + i))).alias(f"c{i}") for i in range(n)]
+    centres = named.where("label = main").groupBy("key").agg(*picks)
+    pairs = named.where("label <> main").join(centres, "key").select("rep", F.explode(F.array_distinct(F.array(*[f"c{i}" for i in range(n)]))).alias("c"))
+    return pairs.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
+
+
 def _plausible(pairs: DataFrame, sketches_: DataFrame, cfg: NearDupConfig) -> DataFrame:
     """Pairs whose sizes allow the similarity and whose sketches agree in at least its share less six deviations."""
     p = cfg.percent / 100
