@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from normgraph.functions import cues as C
+from normgraph.functions.pin import pin
 
 EPISTEMIC = ("take", "vary", "occur", "differ", "result", "cause")
 CAPS = ("at most", "no more than", "only", "up to")
@@ -13,7 +14,7 @@ CAPS = ("at most", "no more than", "only", "up to")
 
 def prefilter(df: DataFrame, registry: str = "english", text: str = "text") -> DataFrame:
     """Sentences with any cue; narrow, and before anything that costs a call."""
-    return df.where(C.has_cue(C.padded(F.col(text)), registry))
+    return pin(df, _t=C.padded(F.col(text))).where(C.has_cue(F.col("_t"), registry)).drop("_t")
 
 
 def may_reading(text: Column, t: Column) -> Column:
@@ -43,8 +44,9 @@ def label(df: DataFrame, registry: str = "english", may_mode: str = "relabel", q
     ``off`` admits every cue as it is.
     """
     text = F.col("text")
-    t = C.padded(text)
-    df = df.withColumn("cue_op", C.operator(t, registry)).withColumn("confidence", C.confidence(t, registry)).withColumn("may", may_reading(text, t))
+    df = pin(df, _t=C.padded(text))
+    t = F.col("_t")
+    df = pin(df, cue_op=C.operator(t, registry), confidence=C.confidence(t, registry), may=may_reading(text, t)).drop("_t")
     op = F.col("cue_op")
     if may_mode != "off":
         alone = op == "P"
@@ -54,13 +56,15 @@ def label(df: DataFrame, registry: str = "english", may_mode: str = "relabel", q
         op = out.otherwise(op)
     if quote_guard:
         op = F.when(quoted_cue(text), F.lit("N")).otherwise(op)
-    return df.withColumn("label", F.coalesce(op, F.lit("N")))
+    return pin(df, label=F.coalesce(op, F.lit("N")))
 
 
 def second_opinion(df: DataFrame, other: Column, other_confidence: Column, gain: float = 0.2) -> DataFrame:
     """Adopt the second label where it differs and is surer by ``gain``."""
     adopt = (other != F.col("label")) & (other_confidence >= F.col("confidence") + gain)
-    return df.withColumn("adopted", adopt).withColumn("label", F.when(adopt, other).otherwise(F.col("label"))).withColumn("confidence", F.when(adopt, other_confidence).otherwise(F.col("confidence")))
+    df = pin(df, adopted=adopt, _other=other, _sure=other_confidence)
+    label = F.when(F.col("adopted"), F.col("_other")).otherwise(F.col("label"))
+    return pin(df, label=label, confidence=F.when(F.col("adopted"), F.col("_sure")).otherwise(F.col("confidence"))).drop("_other", "_sure")
 
 
 def confirm(labelled: DataFrame, formulas: DataFrame) -> DataFrame:

@@ -8,6 +8,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from normgraph.functions.pin import pin
+
 CUE = "(must not|shall not|may not|shall be entitled to|is permitted to|is prohibited from|must|shall|may)"
 PLACEHOLDERS = ("", "predicate", "action", "thing")
 #: Fallback categories in the order of precedence of ours, with the printed counts.
@@ -57,14 +59,15 @@ def lift(df: DataFrame, attempt: int = 0) -> DataFrame:
     verb phrase of a compound sentence.
     """
     text = F.col("text")
-    category = categorise(text)
-    pred = camel(verb_phrase(text))
+    df = pin(df, category=categorise(text), _phrase=verb_phrase(text))
+    category = F.col("category")
+    pred = camel(F.col("_phrase"))
     quant = F.when(F.regexp_like(F.lower(text), F.lit("^(at least one|some) ")), F.lit("exists")).otherwise(F.lit("forall"))
     cls = subject_class(text)
     blocking = category.isNotNull() if attempt == 0 else category.isNotNull() & (category != "compound")
-    out = df.select(
-        "sent_id", F.col("label").alias("op"), quant.alias("quant"), F.lit("x").alias("var"), cls.alias("cls"), pred.alias("pred"),
-        F.when(F.regexp_like(F.lower(text), F.lit(" (waive|exempt|except|unless) ")), F.lit("base")).alias("exception_of"), "text", category.alias("category"), blocking.alias("blocking"),
+    out = pin(df, cls=cls, pred=pred).select(
+        "sent_id", F.col("label").alias("op"), quant.alias("quant"), F.lit("x").alias("var"), "cls", "pred",
+        F.when(F.regexp_like(F.lower(text), F.lit(" (waive|exempt|except|unless) ")), F.lit("base")).alias("exception_of"), "text", "category", blocking.alias("blocking"),
     )
     diagnostics = F.filter(
         F.array(
@@ -75,13 +78,16 @@ def lift(df: DataFrame, attempt: int = 0) -> DataFrame:
         ),
         lambda d: d.isNotNull(),
     )
-    out = out.withColumn("diagnostics", diagnostics).withColumn("ok", F.size("diagnostics") == 0).withColumn("attempt", F.lit(attempt))
+    out = pin(out, diagnostics=diagnostics).withColumn("ok", F.size("diagnostics") == 0).withColumn("attempt", F.lit(attempt))
     return out.withColumn("formula", F.when(F.col("ok"), to_text(F.col("quant"), F.col("cls"), F.col("op"), F.col("pred")))).drop("blocking")
 
 
-def retry(labelled: DataFrame, first: DataFrame) -> DataFrame:
-    """Formulas after one bounded retry of those that failed; rows that passed are not touched."""
-    failed = labelled.join(first.where("not ok").select("sent_id"), "sent_id", "left_semi")
+def retry(first: DataFrame) -> DataFrame:
+    """Formulas after one bounded retry of those that failed; rows that passed are not touched.
+
+    A failed row has all that the second attempt needs, so nothing is joined.
+    """
+    failed = first.where("not ok").select("sent_id", "text", F.col("op").alias("label"))
     return first.where("ok").unionByName(lift(failed, 1))
 
 

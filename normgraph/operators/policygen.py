@@ -39,6 +39,10 @@ def privacy_rules() -> tuple[tuple[str, str, str, str], ...]:
     return _PRIVACY
 
 
+# A lateral view over a one-element array pins a computed column: the optimiser would push filters on it below
+# the projection and write its expression out once for every use.
+
+
 def _hash(tag: str, mod: int, key: str = "o_orderkey") -> str:
     return f"conv(substring(md5(concat('42|{tag}|', {key})), 1, 8), 16, 10) % {mod}"
 
@@ -54,9 +58,9 @@ def codes(spark: SparkSession, sf_dir: str) -> DataFrame:
         when b < {OBLIGATIONS + PERMISSIONS} then case when v < 10 then 'P1' when v < 14 then 'P2' when v < 17 then 'P3' else 'P4' end
         when b < {OBLIGATIONS + PERMISSIONS + PROHIBITIONS} then case when v < 10 then 'F1' when v < 14 then 'F2' when v < 17 then 'F3' else 'F4' end
         else case when v < 14 then 'N1' when v < 17 then 'N2' when v < 18 then 'N3' else 'N4' end end as code
-      from (select o_orderkey, o_custkey, lower(coalesce(c_mktsegment, 'general')) as seg,
-          cast({_hash("class", BUCKETS)} as int) as b, cast({_hash("variant", 20)} as int) as v, cast({_hash("sig", 6)} as int) as g
-        from _pg_orders left join _pg_customer on o_custkey = c_custkey)""")
+      from (select o_orderkey, o_custkey, lower(coalesce(c_mktsegment, 'general')) as seg, b, v, g
+        from _pg_orders left join _pg_customer on o_custkey = c_custkey
+        lateral view inline(array(named_struct('b', cast({_hash("class", BUCKETS)} as int), 'v', cast({_hash("variant", 20)} as int), 'g', cast({_hash("sig", 6)} as int)))) h as b, v, g)""")
 
 
 def _texts(mix: str) -> str:
@@ -103,7 +107,7 @@ def render(spark: SparkSession, sf_dir: str, mix: str = "institution") -> DataFr
     codes(spark, sf_dir).createOrReplaceTempView("_pg_codes")
     return spark.sql(f"""
       select md5(concat(o_custkey, '|', o_orderkey)) as sent_id, o_orderkey, o_custkey as doc_id, cast(o_orderkey as int) as seq,
-        {_texts(mix)} as text, substring(code, 1, 1) as gold_label,
+        text, substring(code, 1, 1) as gold_label,
         case when code in ('O2', 'O4') then 'Order' when code like 'N%' then null else 'Customer' end as gold_class,
         case when code in ('O2', 'O4') then 'hasLineItem' when code = 'P3' then 'waivesNegativeBalance' when code = 'P4' then 'requestsRefund'
           when code like 'F%' then 'hasNegativeBalance' when code like 'OH%' or code like 'N%' then null else 'placesOrder' end as gold_pred,
@@ -111,7 +115,7 @@ def render(spark: SparkSession, sf_dir: str, mix: str = "institution") -> DataFr
         case code when 'O5' then 'compound' when 'O6' then 'very_long' when 'O7' then 'multi_clause' when 'O8' then 'bulleted' when 'O9' then 'multi_modal' else 'plain' end as structure,
         case when code like 'OH%' then element_at(array('predicate', 'set', 'function', 'lambda', 'closure', 'meta'), g + 1) end as ho_signature,
         '{mix}' as domain
-      from (select *, cast(o_orderkey as string) as k from _pg_codes)""")
+      from (select *, cast(o_orderkey as string) as k from _pg_codes) lateral view explode(array({_texts(mix)})) t as text""")
 
 
 def _privacy(spark: SparkSession, sf_dir: str) -> DataFrame:

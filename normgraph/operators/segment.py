@@ -7,6 +7,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from normgraph.functions.pin import pin
+
 ABBREVIATIONS = ("e.g", "i.e", "etc", "Mr", "Mrs", "Dr", "No", "Art", "Sec", "St")
 _MARK = "\x1e"
 
@@ -107,8 +109,11 @@ def count_cosine(a: Column, b: Column) -> Column:
 
 
 def similarity_gate(df: DataFrame, raw_col: str, simple_col: str, threshold: float = 0.85) -> DataFrame:
-    score = count_cosine(F.col(raw_col), F.col(simple_col))
-    return df.withColumn("similarity", score).withColumn("accepted", F.col("similarity") >= threshold)
+    # equal token sequences need no counting
+    tokens = lambda c: F.filter(F.split(F.lower(F.col(c)), "[^a-z0-9]+"), lambda t: t != "")
+    df = pin(df, _a=tokens(raw_col), _b=tokens(simple_col))
+    score = F.when((F.col("_a") == F.col("_b")) & (F.size("_a") > 0), F.lit(1.0)).otherwise(count_cosine(F.col(raw_col), F.col(simple_col)))
+    return pin(df, similarity=score).drop("_a", "_b").withColumn("accepted", F.col("similarity") >= threshold)
 
 
 def dual_gate(df: DataFrame, self_check: str = "self_check", accepted: str = "accepted") -> DataFrame:

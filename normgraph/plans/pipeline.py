@@ -55,7 +55,7 @@ def run(spark: SparkSession, sentences: DataFrame, cfg: PipelineConfig = Pipelin
     rules = labelled.where("label <> 'N'")
     formulas = formalise.lift(rules, 0)
     if cfg.fol_retry:
-        formulas = formalise.retry(rules, formulas)
+        formulas = formalise.retry(formulas)
     grounded = adapter.ground(formulas, load_registry(spark, cfg.registry))
     out = shapes.emit(grounded)
     if cfg.fallback:

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from normgraph.functions import cues as C
 from normgraph.functions import metrics as M
+from normgraph.functions.pin import pin
 from normgraph.operators import adapter, baselines, classify, formalise, policygen, proposers, segment, shapes, validate
 from normgraph.plans import pipeline, profile, stability
 from normgraph.sources.registry import load_registry
@@ -136,7 +137,8 @@ def label_rule_lease(spark, sf):
 
 @query
 def hints(spark, sf):
-    return corpus(spark, sf).select("sent_id", F.array_join(C.hints(C.padded(F.col("text")), "english"), ",").alias("hints")).where("hints <> ''")
+    d = pin(corpus(spark, sf), t=C.padded(F.col("text")))
+    return pin(d.select("sent_id", "t"), hints=F.array_join(C.hints(F.col("t"), "english"), ",")).where("hints <> ''").drop("t")
 
 
 @query
@@ -235,7 +237,7 @@ def formula_check(spark, sf):
 @query
 def formula_retry(spark, sf):
     r = rules(spark, sf)
-    return formalise.retry(r, formalise.lift(r)).groupBy("attempt", "ok").agg(_n())
+    return formalise.retry(formalise.lift(r)).groupBy("attempt", "ok").agg(_n())
 
 
 @query
@@ -281,7 +283,7 @@ def review_queue(spark, sf):
 @query
 def formula_yield(spark, sf):
     r = rules(spark, sf)
-    f = formalise.retry(r, formalise.lift(r))
+    f = formalise.retry(formalise.lift(r))
     n = f.agg(F.count(F.lit(1)).alias("n_rules"), F.count_if("ok").alias("n_ok"))
     lo, hi = M.wilson(F.col("n_ok"), F.col("n_rules"))
     return n.select("n_rules", "n_ok", (F.col("n_ok") / F.col("n_rules")).alias("share"), lo.alias("low"), hi.alias("high"))
@@ -290,7 +292,7 @@ def formula_yield(spark, sf):
 @query
 def pred_quality(spark, sf):
     r = rules(spark, sf)
-    f = formalise.retry(r, formalise.lift(r))
+    f = formalise.retry(formalise.lift(r))
     good = F.col("ok") & ~F.col("pred").isin(*formalise.PLACEHOLDERS)
     return f.agg((F.count_if(good) / F.count_if("ok")).alias("conditional"), (F.count_if(good) / F.count(F.lit(1))).alias("unconditional"))
 
@@ -309,7 +311,7 @@ def reg_aliases(spark, sf):
 
 def _dist(spark, sf, mix="institution", cues="english"):
     r = rules(spark, sf, mix, cues)
-    return adapter.dictionary(formalise.retry(r, formalise.lift(r)))
+    return adapter.dictionary(formalise.retry(formalise.lift(r)))
 
 
 @query
@@ -358,7 +360,7 @@ def _gold_pairs(spark, sf, mix, reg):
     """Distinct (cls, pred, gold_pred) of well-formed formulas."""
     c = corpus(spark, sf, mix)
     r = classify.label(c).where("label <> 'N'")
-    f = formalise.retry(r, formalise.lift(r)).where("ok").select("sent_id", "cls", "pred")
+    f = formalise.retry(formalise.lift(r)).where("ok").select("sent_id", "cls", "pred")
     return f.join(c.select("sent_id", "gold_pred"), "sent_id").select("cls", "pred", "gold_pred").distinct()
 
 
