@@ -32,7 +32,7 @@ def norm_pred(name: str | None) -> str | None:
     return re.sub(r"^([a-z]+[^s ])s( |$)", r"\1\2", spaced)
 
 
-@F.pandas_udf("struct<ok:boolean,normal:string,diagnostics:string>")
+@F.pandas_udf(T.StructType([T.StructField("ok", T.BooleanType()), T.StructField("normal", T.StringType()), T.StructField("diagnostics", T.StringType())]))
 def parse_formula(text: pd.Series) -> pd.DataFrame:
     """Recursive text form, in Arrow batches."""
     out = []
@@ -42,7 +42,7 @@ def parse_formula(text: pd.Series) -> pd.DataFrame:
     return pd.DataFrame(out, columns=["ok", "normal", "diagnostics"])
 
 
-@F.udtf(returnType="seq int, piece string")
+@F.udtf(returnType=T.StructType([T.StructField("seq", T.IntegerType()), T.StructField("piece", T.StringType())]))
 class SplitPolicy:
     """Pieces of a text between sentence ends."""
 
