@@ -97,11 +97,12 @@ def udf_grouped_agg(spark, sf):
 def udf_cogrouped(spark, sf):
     """Old against new shapes of a class: names added and removed; groups are registry-sized."""
     new = load_registry(spark, "star").where("kind = 'property'").select("domain_class", "name").distinct()
-    old = new.where("name not like 'has%'").unionByName(spark.createDataFrame([("Order", "formerPath")], "domain_class string, name string"))
+    before = load_registry(spark, "star").where("kind = 'property'").select("domain_class", "name").distinct()
+    old = before.where("name not like 'has%'").unionByName(spark.createDataFrame([("Order", "formerPath")], "domain_class string, name string"))
 
     def diff(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        left, right = set(a["name"]), set(b["name"])
-        cls = (list(a["domain_class"]) + list(b["domain_class"]))[0]
+        left, right = (set(x["name"]) if len(x) else set() for x in (a, b))
+        cls = (a if len(a) else b)["domain_class"].iloc[0]
         return pd.DataFrame([(cls, n, "removed") for n in sorted(left - right)] + [(cls, n, "added") for n in sorted(right - left)], columns=["domain_class", "name", "change"])
 
     return old.groupBy("domain_class").cogroup(new.groupBy("domain_class")).applyInPandas(diff, "domain_class string, name string, change string")

@@ -83,7 +83,7 @@ def op_sink_partitioned(spark, sf):
 @query
 def op_project(spark, sf):
     d = table(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_extendedprice", "l_discount", "l_quantity")
-    return d.select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("net"), F.when(F.col("l_quantity") > 25, "big").otherwise("small").alias("size"))
+    return d.select("l_orderkey", "l_linenumber", (money("l_extendedprice") * (1 - money("l_discount"))).cast("double").alias("net"), F.when(F.col("l_quantity") > 25, "big").otherwise("small").alias("size"))
 
 
 @query

@@ -20,7 +20,7 @@ SQL: dict[str, str] = {
     "op_scan_text": "select n_name from nation",
     "op_scan_registry": " union all ".join(f"select '{k}' as kind, cast({v} as bigint) as n" for k, v in _kinds.items()),
     "op_sink_partitioned": f"select count(*) as n, sum({MD.format('o_totalprice')}) as total from orders where o_orderstatus = 'F'",
-    "op_project": "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 2) as net, case when l_quantity > 25 then 'big' else 'small' end as size from lineitem",
+    "op_project": "select l_orderkey, l_linenumber, cast(cast(l_extendedprice as decimal(18,2)) * (1 - cast(l_discount as decimal(18,2))) as double) as net, case when l_quantity > 25 then 'big' else 'small' end as size from lineitem",
     "op_filter": "select o_orderkey, o_totalprice, o_orderstatus, o_orderpriority from orders where o_totalprice between 10000 and 200000 and o_orderstatus in ('F', 'O') and o_orderpriority is distinct from '5-LOW'",
     "op_like": "select doc_id from documents where text like '%License%'",
     "op_rlike": "select doc_id from documents where regexp_matches(text, '[Vv]ersion [0-9]')",
