@@ -41,22 +41,45 @@ def _remove(spark: SparkSession, path: str) -> None:
         pass
 
 
+_open: list[Workspace] = []
+
+
+class Workspace:
+    """Intermediate tables of one operator; they go when the operator's own result has been written."""
+
+    def __init__(self) -> None:
+        self.paths: list[tuple[SparkSession, str]] = []
+
+    def __enter__(self) -> Workspace:
+        _open.append(self)
+        return self
+
+    def __exit__(self, *_: object) -> None:
+        _open.remove(self)
+        for spark, path in self.paths:
+            _remove(spark, path)
+
+    def result(self, df: DataFrame, tag: str) -> DataFrame:
+        """Write the result, which outlives this workspace."""
+        _open.remove(self)
+        try:
+            return materialise(df, tag)
+        finally:
+            _open.append(self)
+
+
 def materialise(df: DataFrame, tag: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    atexit.register(_remove, spark, path)
+    if _open:
+        _open[-1].paths.append((spark, path))
+    else:
+        atexit.register(_remove, spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
-def drop_materialised(df: DataFrame) -> None:
-    """Delete the files behind a frame that :func:`materialise` returned and nobody reads any more."""
-    files = df.inputFiles()
-    if files:
-        _remove(df.sparkSession, files[0].rsplit("/", 1)[0])
-
-
 def text_bytes(col: pa.ChunkedArray | pa.Array) -> list[bytes]:
     """UTF-8 bytes of a string column; null becomes empty."""
     return [x or b"" for x in col.cast(pa.binary()).to_pylist()]

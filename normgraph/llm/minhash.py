@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from normgraph.llm.common import CHUNK_BYTES, chunks, materialise, prune, text_bytes
+from normgraph.llm.common import CHUNK_BYTES, Workspace, chunks, materialise, prune, text_bytes
 from normgraph.llm.wordhash import as_long, grams, hash_words, mix
 
 
@@ -182,7 +182,11 @@ def near_duplicates(docs: DataFrame, cfg: NearDupConfig = NearDupConfig()) -> Da
     tells the smallest itself.  Texts without words have no shingles and are linked with nothing.  Repeated rows
     of one doc_id share its class; a null doc_id stays alone, kept, with a null class.  Extra columns are dropped.
     """
-    docs = prune(docs, "doc_id", "text")
+    with Workspace() as space:
+        return space.result(_classes(prune(docs, "doc_id", "text"), cfg), "classes")
+
+
+def _classes(docs: DataFrame, cfg: NearDupConfig) -> DataFrame:
     sk = materialise(sketch_table(docs, cfg), "sketch")
     filled = sk.where("n_shingles > 0 and doc_id is not null")
     classes = filled.groupBy("set_hash").agg(F.min("doc_id").alias("rep"))

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from normgraph.llm.common import chunks, materialise, prune, text_bytes
+from normgraph.llm.common import Workspace, chunks, materialise, prune, text_bytes
 from normgraph.llm.wordhash import as_long, grams, hash_words, range_hash
 
 
@@ -165,7 +165,11 @@ def repeated_spans(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataF
     ``words`` words, and rows with a null doc_id, hold no span.  Rows that repeat a doc_id are read as one
     document.  Extra columns are dropped.
     """
-    docs = prune(docs, "doc_id", "text")
+    with Workspace() as space:
+        return space.result(_spans(prune(docs, "doc_id", "text"), cfg), "spans")
+
+
+def _spans(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     hits = repeated_windows(docs, cfg)
     own = (F.col("first_doc") == F.col("doc_id")) & (F.col("first_start") == F.col("start"))
     by_doc = hits.groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct("start", own.alias("own"), "first_doc"))).alias("hits"))
