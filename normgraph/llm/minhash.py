@@ -5,8 +5,7 @@ rounds all shingles go to the one bin whose turn it is.  A coordinate keeps the
 round that reached it, so all coordinates fill after at most twice ``bins`` rounds.  Bands of coordinates
 propose pairs.  Equal sets are one class from the start; inside a bucket, members are first compared with single
 centres (rounds with different centres), and only members of different components that are left are paired,
-after their sketches' agreement has been compared with a bound far below the similarity.  Every link is
-confirmed on the full sets.
+by an exact prefix filter.  Every link is confirmed on the full sets.
 """
 
 from __future__ import annotations
@@ -33,7 +32,7 @@ class NearDupConfig:
     bins: int = 128
     rows: int = 4
     seed: int = 42
-    centres: tuple[int, ...] = (4, 8)  # centres a bucket in each later round
+    centres: tuple[int, ...] = (4,)  # centres a bucket in each later round
 
 
 def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
@@ -91,7 +90,7 @@ def band_keys(sketch: np.ndarray, rows: int) -> np.ndarray:
 
 
 def sketch_table(docs: DataFrame, cfg: NearDupConfig) -> DataFrame:
-    """``(doc_id, n_shingles, set_hash, bands, sketch)`` of every document; one pass over the texts."""
+    """``(doc_id, n_shingles, set_hash, bands)`` of every document; one pass over the texts."""
     kind = dict(docs.dtypes)["doc_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -101,19 +100,17 @@ def sketch_table(docs: DataFrame, cfg: NearDupConfig) -> DataFrame:
             bands = band_keys(sketch, cfg.rows)
             n = len(sets)
             flat = pa.array(as_long(bands.ravel()))
-            short = pa.array((sketch & np.uint64(0x7FFF)).astype(np.int16).ravel())
             yield pa.RecordBatch.from_arrays(
                 [
                     part.column(0),
                     pa.array([len(s) for s in sets], pa.int64()),
                     pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()),
                     pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * bands.shape[1]), flat),
-                    pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * sketch.shape[1]), short),
                 ],
-                names=["doc_id", "n_shingles", "set_hash", "bands", "sketch"],
+                names=["doc_id", "n_shingles", "set_hash", "bands"],
             )
 
-    return prune(docs, "doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_shingles bigint, set_hash binary, bands array<bigint>, sketch array<smallint>")
+    return prune(docs, "doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_shingles bigint, set_hash binary, bands array<bigint>")
 
 
 def verify(pairs: DataFrame, texts: DataFrame, cfg: NearDupConfig) -> DataFrame:
@@ -212,11 +209,7 @@ def _classes(docs: DataFrame, cfg: NearDupConfig) -> DataFrame:
         again = _centre_pairs(_mixed_buckets(buckets, labels), n, turn)
         labels = materialise(connect(labels, materialise(verify(again, texts, cfg), "edges")), "labels")
 
-    rest = _mixed_buckets(buckets, labels)
-    x = rest.select("key", F.col("rep").alias("a"), F.col("label").alias("la"))
-    y = rest.select("key", F.col("rep").alias("b"), F.col("label").alias("lb"))
-    third = x.join(y, "key").where("a < b and la <> lb").select("a", "b").distinct()
-    third = _plausible(third, sk.select(F.col("doc_id").alias("rep"), "n_shingles", "sketch"), cfg)
+    third = _prefix_pairs(_mixed_buckets(buckets, labels).select("rep", "label").distinct(), texts, cfg)
     labels = materialise(connect(labels, materialise(verify(third, texts, cfg), "edges")), "labels")
 
     of_set = classes.join(labels, "rep").select("set_hash", "label")
@@ -247,15 +240,37 @@ def _centre_pairs(mixed: DataFrame, n: int, turn: int) -> DataFrame:
     return pairs.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
 
 
-def _plausible(pairs: DataFrame, sketches_: DataFrame, cfg: NearDupConfig) -> DataFrame:
-    """Pairs whose sizes allow the similarity and whose sketches agree in at least its share less six deviations."""
-    p = cfg.percent / 100
-    least = max(0.0, p - 6 * (p * (1 - p) / cfg.bins) ** 0.5)
-    l = sketches_.select(F.col("rep").alias("a"), F.col("n_shingles").alias("na"), F.col("sketch").alias("sa"))
-    r = sketches_.select(F.col("rep").alias("b"), F.col("n_shingles").alias("nb"), F.col("sketch").alias("sb"))
-    sized = pairs.join(l, "a").join(r, "b").where(F.lit(100) * F.least("na", "nb") >= F.lit(cfg.percent) * F.greatest("na", "nb"))
-    agree = F.size(F.filter(F.zip_with("sa", "sb", lambda u, v: u == v), lambda z: z))
-    return sized.where(agree >= least * cfg.bins).select("a", "b").distinct()
+def _prefix_pairs(rest: DataFrame, texts: DataFrame, cfg: NearDupConfig) -> DataFrame:
+    """Pairs of different components among ``rest (rep, label)`` that the prefix filter admits; it is exact.
+
+    With shingles in one global order, rarest first, two sets of n and m shingles that reach the similarity share
+    one among their first n - ceil(t n) + 1 and m - ceil(t m) + 1.  Shingles of one text alone come first and only
+    use up places, so texts that were altered in many places, which fill a bucket without any link, have no pairs.
+    """
+    kind = dict(rest.dtypes)["rep"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in chunks(batches, "text"):
+            sets = shingle_sets(text_bytes(part.column(1)), cfg.words)
+            size = np.array([len(x) for x in sets])
+            row = pa.array(np.repeat(np.arange(len(sets)), size))
+            yield pa.RecordBatch.from_arrays([part.column(0).take(row), pa.array(as_long(np.concatenate(sets)))], names=["rep", "g"])
+
+    some = texts.join(rest.select("rep").distinct(), "rep", "left_semi").select("rep", "text")
+    grams_ = materialise(some.mapInArrow(run, f"rep {kind}, g bigint").distinct(), "grams")
+    common = grams_.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    sizes = grams_.groupBy("rep").agg(F.count(F.lit(1)).alias("size"))
+    shared = grams_.join(common, "g").groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("n", "g"))).alias("gs"))  # as many as one text has
+    per_rep = shared.join(sizes, "rep").join(rest, "rep")
+    places = F.col("size") - F.ceil(F.col("size") * cfg.percent / 100) + 1 - (F.col("size") - F.size("gs"))
+    first = per_rep.where(places > 0).select("rep", "label", "size", F.explode(F.slice(F.col("gs"), F.lit(1), places.cast("int"))).alias("x")).select("rep", "label", "size", F.col("x.g").alias("g"))
+    # a shingle whose texts are all in one component pairs nothing
+    mixed = first.groupBy("g").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("g")
+    first = materialise(first.join(mixed, "g", "left_semi"), "prefix")
+    x = first.select("g", F.col("rep").alias("a"), F.col("label").alias("la"), F.col("size").alias("na"))
+    y = first.select("g", F.col("rep").alias("b"), F.col("label").alias("lb"), F.col("size").alias("nb"))
+    fits = F.lit(100) * F.least("na", "nb") >= F.lit(cfg.percent) * F.greatest("na", "nb")
+    return x.join(y, "g").where((F.col("a") < F.col("b")) & (F.col("la") != F.col("lb")) & fits).select("a", "b").distinct()
 
 
 def keep_one_of_each(docs: DataFrame, cfg: NearDupConfig = NearDupConfig()) -> DataFrame:
