@@ -144,7 +144,7 @@ def _calibrate(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -> tuple[np.nd
 
 
 def train(texts: list[tuple[bytes, int]], cfg: ToxicityConfig) -> ToxicityModel:
-    """Dictionaries from all texts; the calibration uses a third of them, met by dictionaries of the rest."""
+    """Dictionaries from two thirds of the texts, calibrated on the third that they haven't seen."""
     n_toxic = sum(y for _, y in texts)
     prior = n_toxic / len(texts) if texts else 0.0
     if n_toxic < 6 or len(texts) - n_toxic < 6:
@@ -152,10 +152,11 @@ def train(texts: list[tuple[bytes, int]], cfg: ToxicityConfig) -> ToxicityModel:
     order = sorted(texts, key=lambda x: zlib.crc32(x[0], cfg.seed))
     rest = [t for i, t in enumerate(order) if i % 3]
     held = order[::3]
-    meter = WindowMeter(*build_dictionaries(rest, cfg), cfg)
+    dictionaries = build_dictionaries(rest, cfg)
+    meter = WindowMeter(*dictionaries, cfg)
     y = np.array([t[1] for t in held], dtype=np.float64)
     w, mean, scale = _calibrate(np.array([meter.features(t[0]) for t in held]), y)
-    return ToxicityModel(*build_dictionaries(order, cfg), w, mean, scale, prior, cfg)
+    return ToxicityModel(*dictionaries, w, mean, scale, prior, cfg)
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig()) -> list[tuple[bytes, int]]:
