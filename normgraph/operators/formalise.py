@@ -168,7 +168,7 @@ def parse(text: str) -> tuple[Parsed | None, list[str]]:
     diagnostics = []
     if text.count("(") != text.count(")"):
         diagnostics.append("paren")
-    ops = re.findall(r"(?:^|[^A-Za-z])([OPF])\(", text)
+    ops = re.findall(r"(?<![A-Za-z])([OPF])\(", text)
     if not ops:
         diagnostics.append("no_op")
     if len(ops) > 1:

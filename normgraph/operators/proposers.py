@@ -10,6 +10,7 @@ from typing import Protocol
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType, StructField, StructType
 
 from normgraph.operators import baselines, classify
 
@@ -85,7 +86,7 @@ class ExternalProposer:
                     part["raw"] = answer(part["text"].fillna("").tolist())
                     yield part
 
-        raw = df.mapInPandas(run, df.schema.add("raw", "string"))
+        raw = df.mapInPandas(run, StructType([*df.schema.fields, StructField("raw", StringType())]))
         return raw.withColumn("a", F.from_json("raw", ANSWER)).select(*df.columns, "raw", "a.label", "a.confidence")
 
 
