@@ -15,7 +15,7 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the compression-distance classifier doesn't call toxic."""
     docs = docs.select(*COLUMNS)
-    model = toxicity.train(toxicity.training_rows(docs, table(spark, sf_dir, "labels", "doc_id", "toxic")), toxicity.ToxicityConfig())
+    model = toxicity.fit(docs, table(spark, sf_dir, "labels", "doc_id", "toxic"))
     return toxicity.score(docs, model, keep=COLUMNS[1:]).where("predicted = 0").select(*COLUMNS)
 
 

@@ -143,10 +143,14 @@ def _calibrate(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -> tuple[np.nd
     return w, mean, scale
 
 
-def train(texts: list[tuple[bytes, int]], cfg: ToxicityConfig) -> ToxicityModel:
-    """Dictionaries from two thirds of the texts, calibrated on the third that they haven't seen."""
+def train(texts: list[tuple[bytes, int]], cfg: ToxicityConfig, shift: float = 0.0) -> ToxicityModel:
+    """Dictionaries from two thirds of the texts, calibrated on the third that they haven't seen.
+
+    ``shift`` (see ``sampling_shift``) turns the odds of the sample into those of all labels.
+    """
     n_toxic = sum(y for _, y in texts)
-    prior = n_toxic / len(texts) if texts else 0.0
+    odds = n_toxic / max(1, len(texts) - n_toxic) * np.exp(shift)
+    prior = float(odds / (1 + odds))
     if n_toxic < 6 or len(texts) - n_toxic < 6:
         return ToxicityModel(b"", b"", b"", None, None, None, min(prior, 0.49), cfg)
     order = sorted(texts, key=lambda x: zlib.crc32(x[0], cfg.seed))
@@ -156,12 +160,27 @@ def train(texts: list[tuple[bytes, int]], cfg: ToxicityConfig) -> ToxicityModel:
     meter = WindowMeter(*dictionaries, cfg)
     y = np.array([t[1] for t in held], dtype=np.float64)
     w, mean, scale = _calibrate(np.array([meter.features(t[0]) for t in held]), y)
+    w[0] += shift
     return ToxicityModel(*dictionaries, w, mean, scale, prior, cfg)
 
 
+def _eligible(labels: DataFrame) -> DataFrame:
+    """Labels that may train: those whose crc32(doc_id as text) mod 5 is not 0."""
+    return prune(labels, "doc_id", "toxic").where("doc_id is not null and toxic in (0, 1)").where("crc32(cast(doc_id as string)) % 5 <> 0")
+
+
+def sampling_shift(labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig()) -> float:
+    """What the caps of ``training_rows`` add to the log-odds of toxic, with the sign turned: 0 where none binds."""
+    count = {r["toxic"]: r["count"] for r in _eligible(labels).groupBy("toxic").count().collect()}
+    n1, n0 = count.get(1, 0), count.get(0, 0)
+    if not (n1 and n0 and cfg.n_toxic and cfg.n_ordinary):
+        return 0.0
+    return float(np.log((n1 / min(n1, cfg.n_toxic)) / (n0 / min(n0, cfg.n_ordinary))))
+
+
 def training_rows(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig()) -> list[tuple[bytes, int]]:
-    """A bounded sample of labelled rows whose crc32(doc_id as text) mod 5 is not 0, by a hash of doc_id."""
-    rows = prune(labels, "doc_id", "toxic").where("doc_id is not null and toxic in (0, 1)").where("crc32(cast(doc_id as string)) % 5 <> 0")
+    """A bounded sample of the eligible labelled rows, by a hash of doc_id."""
+    rows = _eligible(labels)
     rank = F.xxhash64(F.lit(cfg.seed), "doc_id")
     picked = None
     for label, n in ((1, cfg.n_toxic), (0, cfg.n_ordinary)):
@@ -172,6 +191,11 @@ def training_rows(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = Toxi
     return [(r["text"].encode(), int(r["toxic"])) for r in sorted(found.limit(2 * bound).collect(), key=lambda r: (r["doc_id"], r["text"]))]
 
 
+def fit(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig()) -> ToxicityModel:
+    """Train on the bounded sample, calibrated to the class share of all eligible labels."""
+    return train(training_rows(docs, labels, cfg), cfg, sampling_shift(labels, cfg))
+
+
 def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
     """``(id, keep.., score, predicted)`` of every whole text; ``score >= 0.5`` predicts label 1.
 
@@ -199,6 +223,6 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
 
 def classify(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig(), keep: tuple[str, ...] = ()) -> DataFrame:
     """Train on the bounded sample and score all documents."""
-    return score(docs, train(training_rows(docs, labels, cfg), cfg), keep=keep)
+    return score(docs, fit(docs, labels, cfg), keep=keep)
 
 

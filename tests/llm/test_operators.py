@@ -257,6 +257,19 @@ def test_toxicity_held_out(spark):
     assert r["acc"] > 0.95 > r["base"]
 
 
+def test_toxicity_calibrated_to_all_labels_when_both_caps_bind(spark):
+    """Caps of 1 : 1 against a true share of about 1 : 8; the mean score of held-out rows follows the true share."""
+    docs, labels = table(spark, "/root/testdata/sf0.1", "documents"), table(spark, "/root/testdata/sf0.1", "labels")
+    held = labels.where("crc32(cast(doc_id as string)) % 5 = 0")
+    cfg = toxicity.ToxicityConfig(n_toxic=300, n_ordinary=300)
+    r = toxicity.classify(docs, labels, cfg).join(held, "doc_id").agg(F.avg("score").alias("mean"), F.avg("toxic").alias("share"), F.avg((F.col("predicted") == F.col("toxic")).cast("double")).alias("acc")).first()
+    assert abs(r["mean"] - r["share"]) < 0.03
+    rest = labels.where("crc32(cast(doc_id as string)) % 5 <> 0").groupBy("toxic").count().collect()
+    n = {x["toxic"]: x["count"] for x in rest}
+    assert toxicity.sampling_shift(labels, cfg) == pytest.approx(np.log(n[1] / n[0]))
+    assert toxicity.sampling_shift(labels, toxicity.ToxicityConfig(n_toxic=10**6, n_ordinary=10**6)) == 0.0
+
+
 def test_toxicity_without_two_classes(spark, odd):
     empty = spark.createDataFrame([], "doc_id long, toxic int")
     assert toxicity.classify(odd, empty).where("predicted = 0").count() == odd.count()
