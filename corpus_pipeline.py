@@ -25,8 +25,8 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without later copies of passages of 50 words or more."""
-    return suffix.remove_repeats(docs.select(*COLUMNS)).select(*COLUMNS)
+    """Documents without later copies of passages of 50 words or more, be they in one document or in several."""
+    return suffix.remove_repeats(docs.select(*COLUMNS), suffix.RepeatConfig(across=False)).select(*COLUMNS)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

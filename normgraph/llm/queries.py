@@ -23,6 +23,11 @@ def op3_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix.repeated_spans(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op3_suffix_repeats_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Repeats inside one document too, as the pipeline removes them."""
+    return suffix.repeated_spans(table(spark, sf_dir, "documents", "doc_id", "text"), suffix.RepeatConfig(across=False))
+
+
 def op4_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encoding.round_trip(table(spark, sf_dir, "documents", "doc_id", "text"))
 
@@ -53,7 +58,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find_leaks(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op1_license_scan, op2_token_file, op3_suffix_repeats, op4_bpe_round_trip, op5_chat_rotation, op6_near_duplicates, op7_co_training, op8_line_rules, op9_toxicity, op10_decontamination)}
+QUERIES = {f.__name__: f for f in (op1_license_scan, op2_token_file, op3_suffix_repeats, op3_suffix_repeats_all, op4_bpe_round_trip, op5_chat_rotation, op6_near_duplicates, op7_co_training, op8_line_rules, op9_toxicity, op10_decontamination)}
 
 _WORDS = r"list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda w: w <> '')"
 
@@ -70,6 +75,8 @@ select doc_id, cast(min(start) as bigint) as first_word, cast(max(start) + 50 as
 from span group by doc_id, span
 """
 
+_OP3_ALL = _OP3.replace(", min(doc_id) as lo, max(doc_id) as hi from h group by h having min(doc_id) <> max(doc_id)", " from h group by h having min((doc_id, start)) <> max((doc_id, start))")
+
 _OP5 = """
 with t as (select distinct conv_id, coalesce(turn, -1) as turn, coalesce(role, 'unknown') as role, coalesce(text, '') as text from conversations where conv_id is not null),
 p as (select distinct conv_id, role as participant from t),
@@ -136,4 +143,4 @@ from b
 """
 
 
-ORACLES = {"op3_suffix_repeats": _OP3, "op5_chat_rotation": _OP5, "op6_near_duplicates": _OP6, "op8_line_rules": _op8()}
+ORACLES = {"op3_suffix_repeats": _OP3, "op3_suffix_repeats_all": _OP3_ALL, "op5_chat_rotation": _OP5, "op6_near_duplicates": _OP6, "op8_line_rules": _op8()}

@@ -148,10 +148,9 @@ def repeated_windows(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     places = materialise(agreeing(suffixes).distinct(), "places")
     found = materialise(windows(docs, places, cfg), "windows")
     first = F.min(F.struct("doc_id", "start"))
-    groups = found.groupBy("h").agg(F.count(F.lit(1)).alias("n"), first.alias("first"), F.max("doc_id").alias("last_doc"))
-    groups = groups.where("n > 1")
-    if cfg.across:
-        groups = groups.where("first.doc_id <> last_doc")
+    last = F.max("doc_id").alias("last_doc") if cfg.across else F.max(F.struct("doc_id", "start")).alias("last")
+    groups = found.groupBy("h").agg(first.alias("first"), last)
+    groups = groups.where("first.doc_id <> last_doc" if cfg.across else "first <> last")
     groups = groups.select("h", F.col("first.doc_id").alias("first_doc"), F.col("first.start").alias("first_start"))
     return found.join(groups, "h").select("doc_id", "start", "first_doc", "first_start")
 
@@ -163,7 +162,7 @@ def repeated_spans(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataF
     (``is_first`` tells); ``first_doc`` is the least document that holds the span's first window.  Words
     are parted by white space and compared by their bytes.  Texts that are null, empty or shorter than
     ``words`` words, and rows with a null doc_id, hold no span.  Rows that repeat a doc_id are read as one
-    document.  Extra columns are dropped.
+    document.  Extra columns are dropped.  Without ``across``, passages that repeat inside one document only count too.
     """
     with Workspace() as space:
         return space.result(_spans(prune(docs, "doc_id", "text"), cfg), "spans")
@@ -197,14 +196,44 @@ def _spans(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     return by_doc.mapInArrow(run, f"doc_id {kind}, first_word bigint, end_word bigint, n_words bigint, first_doc {kind}, is_first boolean")
 
 
+def _cuts(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
+    """``(_cut_id, _cut)``: the word ranges to cut from each document.
+
+    Every later window loses its words, except that one overlapping its own first copy (a text of a short
+    period) loses only those behind that copy: the copy stays whole, and the window is no longer there.
+    """
+    later = repeated_windows(docs, cfg).where("first_doc <> doc_id or first_start <> start")
+    over = (F.col("first_doc") == F.col("doc_id")) & (F.col("first_start") + cfg.words > F.col("start"))
+    begin = F.when(over, F.col("first_start") + cfg.words).otherwise(F.col("start"))
+    by_doc = later.groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct(begin.alias("a"), (F.col("start") + cfg.words).alias("b")))).alias("ranges"))
+    kind = dict(docs.dtypes)["doc_id"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for ranges in batch.column(1).to_pylist():
+                cut: list[dict] = []
+                for x in ranges:
+                    if cut and x["a"] <= cut[-1]["end_word"]:
+                        cut[-1]["end_word"] = max(cut[-1]["end_word"], x["b"])
+                    else:
+                        cut.append({"first_word": x["a"], "end_word": x["b"]})
+                out.append(cut)
+            kinds = pa.list_(pa.struct([("first_word", pa.int64()), ("end_word", pa.int64())]))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, kinds)], names=["_cut_id", "_cut"])
+
+    return by_doc.mapInArrow(run, f"_cut_id {kind}, _cut array<struct<first_word:bigint,end_word:bigint>>")
+
+
 def remove_repeats(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataFrame:
     """``docs`` without later occurrences of repeated passages; the first occurrence of each stays.
 
     Words of a later occurrence go, with the white space after them; a document of which nothing is left
     goes.  All columns stay; ``n_chars``, where there is one, follows the text.  Untouched rows are not altered.
+    A passage that overlaps its own first copy loses only the words behind that copy.
     """
-    spans = repeated_spans(docs, cfg).where("not is_first").groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("first_word", "end_word"))).alias("_cut"))
-    cut = spans.select(F.col("doc_id").alias("_cut_id"), "_cut")
+    with Workspace() as space:
+        cut = space.result(_cuts(prune(docs, "doc_id", "text"), cfg), "cuts")
     joined = docs.join(cut, docs["doc_id"] == F.col("_cut_id"), "left").drop("_cut_id")
 
     @F.pandas_udf("string")

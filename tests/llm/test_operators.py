@@ -151,6 +151,31 @@ def test_suffix_repeats_against_brute_force(spark):
     assert 100 not in {r["doc_id"] for r in left} or 101 not in {r["doc_id"] for r in left}
 
 
+def all_places(rows, n=50):
+    where = {}
+    for d, t in rows:
+        w = WORD.findall(t or "")
+        for i in range(len(w) - n + 1):
+            where.setdefault(tuple(w[i : i + n]), []).append((d, i))
+    return {p for places in where.values() if len(places) > 1 for p in places}
+
+
+def test_suffix_repeats_inside_one_document(spark):
+    """Self-repeats, apart and overlapping, are found and go; the first copy stays whole."""
+    rng = random.Random(14)
+    a, b, c = words(rng, 60), words(rng, 40), words(rng, 55)
+    rows = [(1, f"{a} {b} {a}"), (2, "x y z " * 60), (3, f"{words(rng, 20)} {c} {c} {c}"), (4, words(rng, 150)), (5, None)] + [(7, f"p {a[::-1]} q")] * 2
+    cfg = suffix.RepeatConfig(across=False)
+    want = all_places(dict(rows).items())
+    spans = suffix.repeated_spans(frame(spark, rows), cfg).collect()
+    assert {(r["doc_id"], s) for r in spans for s in range(r["first_word"], r["end_word"] - 49)} >= want
+    assert {r["doc_id"] for r in spans} == {d for d, _ in want} == {1, 2, 3}
+    left = {r["doc_id"]: r["text"] for r in suffix.remove_repeats(frame(spark, rows), cfg).collect()}
+    assert not all_places(left.items())
+    assert left[1].split() == f"{a} {b}".split() and left[2].split() == ("x y z " * 17).split()[:50]
+    assert left[3].split() == rows[2][1].split()[:75] and left[4] == rows[3][1]
+
+
 # ---- 5
 
 
