@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from normgraph.sources.tables import table
@@ -113,6 +113,37 @@ def triples(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def star_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``triples`` with suppliers, order slots, dates and discounts: the facts of every checkable shape.
+
+    Lines that share an order and a number are nodes of their own; their last path step is what reports show.
+    """
+    supplier = table(spark, sf_dir, "supplier", "s_suppkey", "s_acctbal").withColumn("s", F.concat(F.lit("supplier/"), F.col("s_suppkey")))
+    orders = table(spark, sf_dir, "orders", "o_orderkey", "o_orderdate")
+    lines = table(spark, sf_dir, "lineitem")
+    slot = F.concat_ws("-", "l_orderkey", "l_linenumber")
+    nth = F.row_number().over(Window.partitionBy("l_orderkey", "l_linenumber").orderBy(*lines.columns))
+    lines = lines.select("l_orderkey", "l_linenumber", "l_discount", "l_shipdate", F.concat(F.lit("line/"), nth, F.lit("/"), slot).alias("s"), F.concat(F.lit("slot/"), slot).alias("slot"))
+    dated = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).where("l_shipdate < o_orderdate")
+
+    def fact(df: DataFrame, s: str, p: str, o: Column, otype: str) -> DataFrame:
+        return df.select(F.col(s).alias("s"), F.lit(p).alias("p"), o.alias("o"), F.lit(otype).alias("otype"))
+
+    yes = F.lit("true")
+    out = triples(spark, sf_dir)
+    for part in (
+        fact(supplier, "s", "type", F.lit("Supplier"), "iri"),
+        fact(lines, "s", "type", F.lit("LineItem"), "iri"),
+        fact(lines.select("slot").distinct(), "slot", "type", F.lit("OrderSlot"), "iri"),
+        fact(supplier.where("s_acctbal < 0"), "s", "hasNegativeBalance", yes, "boolean"),
+        fact(lines, "slot", "hasLine", F.col("s"), "iri"),
+        fact(dated, "s", "shippedBeforeOrdered", yes, "boolean"),
+        fact(lines.where("l_discount > 0.09"), "s", "hasHighDiscount", yes, "boolean"),
+    ):
+        out = out.unionByName(part)
+    return out
+
+
 def validate_triples(graph: DataFrame, constraints: tuple[Constraint, ...]) -> DataFrame:
     """The same report from triples: target class, focus nodes, path counts, comparison."""
     spark = graph.sparkSession

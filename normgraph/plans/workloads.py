@@ -434,6 +434,12 @@ def validate_triples(spark, sf):
     return validate.validate_triples(validate.triples(spark, sf), some)
 
 
+@query
+def wl_validate_triples(spark, sf):
+    """Every shape over the entity graph; the same report as over the tables."""
+    return validate.validate_triples(validate.star_triples(spark, sf), validate.STAR)
+
+
 @query
 def defeat(spark, sf):
     """Negative balances are forbidden, except in one market segment."""
