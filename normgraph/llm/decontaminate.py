@@ -2,7 +2,7 @@
 
 Items and item-sized windows of documents get 64-bit SimHash fingerprints of their words.  The item index has
 eight blocks of eight bits; a fingerprint within 15 bits differs in at most one bit in some block, so looking
-up each block with up to one flipped bit finds all of them.  The multiset of k-word shingles, weighted by rarity
+up each block with up to one flipped bit finds all of them.  A document shorter than an item is one window as a whole.  The multiset of k-word shingles, weighted by rarity
 among items, verifies each candidate.  A window that reaches the similarity shares a shingle with its item, so
 windows are only taken where a shingle of an item stands; that loses nothing.
 """
@@ -42,10 +42,15 @@ def _pack(positive: np.ndarray) -> np.ndarray:
     return np.packbits(positive, axis=1).view("<u8").ravel()
 
 
+#: How many items there are, and how many hold each shingle that more than one holds.
+Rarity = tuple[int, dict[int, int]]
+
+
 class ItemIndex:
     """Fingerprints, shingles and the multi-index blocks of a set of items."""
 
-    def __init__(self, items: list[tuple[int, bytes]], cfg: DecontaminationConfig):
+    def __init__(self, items: list[tuple[int, bytes]], cfg: DecontaminationConfig, rarity: Rarity | None = None):
+        """``rarity`` is that of all items, where these are one block of several."""
         self.cfg = cfg
         words = hash_words([t for _, t in items], lower=True)
         self.ids, self.sizes, self.shingles, prints = [], [], [], []
@@ -66,9 +71,10 @@ class ItemIndex:
                 where.setdefault(k, {}).setdefault(x, []).append((n, at))
             prints.append(_pack((_bits(h).sum(0) > 0)[None, :])[0])
         self.prints = np.array(prints, dtype=np.uint64)
-        total = len(self.ids)
-        self.weight = {s: float(np.log1p(total / n)) for s, n in use.items()}
+        total, shared = rarity or (len(self.ids), {s: n for s, n in use.items() if n > 1})
+        self.weight = {s: float(np.log1p(total / n)) for s, n in shared.items()}  # a shingle of one item weighs as an unknown one
         self.unknown = float(np.log1p(total))
+        self.mass = [self.weigh(s) for s in self.shingles]
         self.where = where
         self.known = {k: np.sort(np.fromiter(v, dtype=np.uint64, count=len(v))) for k, v in where.items()}
         self.blocks = []
@@ -91,6 +97,9 @@ class ItemIndex:
         far = np.bitwise_count(self.prints[some] ^ np.uint64(fingerprint))
         return sorted(some[far <= RADIUS].tolist())
 
+    def weigh(self, shingles: Counter) -> float:
+        return sum(n * self.weight.get(s, self.unknown) for s, n in shingles.items())
+
     def similarity(self, item: int, window: Counter) -> float:
         """Weighted multiset similarity of an item's and a window's shingles."""
         own = self.shingles[item]
@@ -106,25 +115,46 @@ class ItemIndex:
         """Matches ``(item, first word, end word, similarity)`` of one text; best of overlapping windows only."""
         h = words.h[words.first[row] : words.first[row + 1]]
         wanted: set[tuple[int, int]] = set()
+        longer: dict[int, set[int]] = {}  # items longer than the text, by their shingle length
         for k, places in hits.items():
             g = grams(h, k)
             for p in places.tolist():
                 for n, at in self.where[k].get(int(g[p]), ()):
                     size = self.sizes[n]
                     if size > len(h):
+                        longer.setdefault(k, set()).add(n)
                         continue
                     shift = int(size * self.cfg.slack)
                     lo, hi = max(0, p - at - shift), min(len(h) - size, p - at + shift)
                     wanted.update((size, s) for s in range(lo, hi + 1))
-        if not wanted:
-            return []
+        best: dict[int, list[tuple[int, int, float]]] = {}
+        for k, some in longer.items():
+            window = Counter(grams(h, k).tolist()[: len(h) - k + 1])
+            mass = self.weigh(window)
+            for item in some:
+                if mass >= (self.cfg.similarity - 1e-9) * self.mass[item]:  # else the similarity can't be reached
+                    sim = self.similarity(item, window)
+                    if sim >= self.cfg.similarity:
+                        best[item] = [(0, len(h), sim)]
+        if wanted:
+            self._compare(h, wanted, best)
+        out = []
+        for item, found in best.items():
+            taken: list[tuple[int, int]] = []
+            for s, e, sim in sorted(found, key=lambda x: (-x[2], x[0])):
+                if all(e <= a or s >= b for a, b in taken):
+                    taken.append((s, e))
+                    out.append((self.ids[item], s, e, sim))
+        return sorted(out)
+
+    def _compare(self, h: np.ndarray, wanted: set[tuple[int, int]], best: dict[int, list[tuple[int, int, float]]]) -> None:
+        """Add to ``best`` the wanted windows (size, start) that match an item of their size."""
         sums = np.zeros((len(h) + 1, 64), dtype=np.int32)
         np.cumsum(_bits(h), axis=0, out=sums[1:])
         spans = sorted(wanted)
         lo = np.array([s for _, s in spans])
         size = np.array([n for n, _ in spans])
         prints = _pack(sums[lo + size] - sums[lo] > 0).tolist()
-        best: dict[int, list[tuple[int, int, float]]] = {}
         shingled = {k: grams(h, k).tolist() for k in {min(self.cfg.words, n) for n in {x for x, _ in spans}}}
         for (n_words, s), fp in zip(spans, prints, strict=True):
             window = None
@@ -137,14 +167,6 @@ class ItemIndex:
                 sim = self.similarity(item, window)
                 if sim >= self.cfg.similarity:
                     best.setdefault(item, []).append((s, s + n_words, sim))
-        out = []
-        for item, found in best.items():
-            taken: list[tuple[int, int]] = []
-            for s, e, sim in sorted(found, key=lambda x: (-x[2], x[0])):
-                if all(e <= a or s >= b for a, b in taken):
-                    taken.append((s, e))
-                    out.append((self.ids[item], s, e, sim))
-        return sorted(out)
 
 
 def _item_blocks(items: DataFrame, max_bytes: int) -> list[list[tuple[int, bytes]]]:
@@ -156,22 +178,43 @@ def _item_blocks(items: DataFrame, max_bytes: int) -> list[list[tuple[int, bytes
     return [sorted((r["item_id"], r["text"].encode()) for r in split.where(F.col("part") == p).select("item_id", "text").collect()) for p in range(parts)]
 
 
+def _rarity(items: DataFrame, cfg: DecontaminationConfig) -> Rarity:
+    """Over all items, so that a weight doesn't depend on the blocks; only shingles of several items are listed."""
+    some = prune(items, "item_id", "text").where("item_id is not null and text is not null")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in chunks(batches, "text"):
+            words = hash_words(text_bytes(part.column(1)), lower=True)
+            for a, b in zip(words.first[:-1].tolist(), words.first[1:].tolist(), strict=True):
+                if b > a:
+                    k = min(cfg.words, b - a)
+                    g = np.unique(grams(words.h[a:b], k)[: b - a - k + 1])
+                    yield pa.RecordBatch.from_arrays([pa.array(g.view(np.int64)), pa.array(np.arange(len(g)) == 0)], names=["g", "head"])
+
+    each = some.mapInArrow(run, "g bigint, head boolean")
+    total = each.where("head").count()
+    shared = each.groupBy("g").count().where("count > 1").collect()
+    return total, {r["g"] & (2**64 - 1): r["count"] for r in shared}
+
+
 def find_leaks(docs: DataFrame, items: DataFrame, cfg: DecontaminationConfig = DecontaminationConfig(), max_item_bytes: int = MAX_ITEM_BYTES) -> DataFrame:
     """``(doc_id, item_id, first_word, end_word, similarity)``: every place of a document that holds an item.
 
     Words are split at white space after A-Z are lower-cased.  Null and empty texts or items match nothing;
-    repeated rows are searched one by one; an item of fewer words than a shingle matches as one whole.
+    repeated rows are searched one by one; a text shorter than an item is compared as a whole; an item of fewer words than a shingle matches as one whole.
     Without matches, or without items, the result is empty.  Extra columns are dropped.
     """
     kind = dict(docs.dtypes)["doc_id"]
     item_kind = dict(items.dtypes)["item_id"]
     schema = f"doc_id {kind}, item_id {item_kind}, first_word bigint, end_word bigint, similarity double"
     out = None
-    for block in _item_blocks(items, max_item_bytes):
-        shared = docs.sparkSession.sparkContext.broadcast(block)
+    blocks = _item_blocks(items, max_item_bytes)
+    rarity = _rarity(items, cfg) if len(blocks) > 1 else None
+    for block in blocks:
+        shared = docs.sparkSession.sparkContext.broadcast((block, rarity))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            index = ItemIndex(shared.value, cfg)
+            index = ItemIndex(shared.value[0], cfg, shared.value[1])
             filters = {}
             for k, known in index.known.items():
                 bloom = np.zeros(1 << 22, dtype=bool)

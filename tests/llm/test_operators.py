@@ -347,6 +347,32 @@ def test_leaks_against_brute_force(spark):
     assert left == {d for d, _ in rows} - {d for d, _ in want}
 
 
+def test_leaks_of_documents_shorter_than_the_item(spark):
+    rng = random.Random(16)
+    items = [(i, words(rng, n)) for i, n in enumerate((38, 38, 40, 6))]
+    w = [t.split() for _, t in items]
+    rows = [(1, " ".join(w[0][:-1])), (2, " ".join(w[0][3:])), (3, " ".join(w[1][:20])), (4, " ".join(w[3][:5])), (5, " ".join(w[2][:20] + w[2][21:])), (6, " ".join(w[0]))]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): (r["first_word"], r["end_word"], round(r["similarity"], 6)) for r in decontaminate.find_leaks(frame(spark, rows), bench).collect()}
+    assert got == {(1, 0): (0, 37, round(33 / 34, 6)), (2, 0): (0, 35, round(31 / 34, 6)), (6, 0): (0, 38, 1.0)}
+
+
+def test_leaks_do_not_depend_on_blocks_of_items(spark):
+    """Items share passages, so that weights decide; several blocks give what one gives, similarity included."""
+    rng = random.Random(17)
+    common = words(rng, 12)
+    items = [(i, f"{words(rng, 20)} {common} {words(rng, 4)}") for i in range(40)]
+    rows = []
+    for i in range(200):
+        w = rng.choice(items)[1].split()
+        for _ in range(rng.choice((0, 1, 1, 2))):
+            w[rng.randrange(len(w))] = "edit"
+        rows.append((i, " ".join(w[rng.randint(0, 3) :])))
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    one, many = (sorted((*r[:4], round(r[4], 9)) for r in decontaminate.find_leaks(frame(spark, rows), bench, max_item_bytes=n).collect()) for n in (decontaminate.MAX_ITEM_BYTES, 1500))
+    assert one == many and one
+
+
 # ---- all
 
 
