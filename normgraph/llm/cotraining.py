@@ -3,21 +3,21 @@
 One classifier sees the text (counts of its characters, words and lines), the other the record's metadata
 (language, source, stated length).  Over some rounds each labels the pool rows it is surest of for the other.
 Both are then calibrated on labelled rows kept apart, and their calibrated log-odds are combined.
-Training uses a bounded, documented number of rows, chosen by a hash; every document is scored.
+Only labelled rows are sampled for training (by a hash); the pool is every unlabelled document, and every document is scored.
 """
 
 from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from normgraph.llm.common import chunks, prune, text_bytes
+from normgraph.llm.common import Workspace, chunks, materialise, prune, text_bytes
 from normgraph.llm.wordhash import hash_words
 
 _KINDS = np.zeros(256, dtype=np.int64)  # kinds of bytes, for one bincount a text
@@ -30,7 +30,7 @@ _LENGTHS = 12
 
 @dataclass(frozen=True)
 class CoTrainingConfig:
-    """``n_labelled`` and ``n_pool`` bound the rows that training reads."""
+    """``n_labelled`` bounds the labelled rows of training, ``n_pool`` the pool rows of ``training_views`` only."""
 
     n_labelled: int = 6000
     n_pool: int = 6000
@@ -114,35 +114,101 @@ class CoTrained:
         return _p(a), _p(b), _p(self.both.odds(np.c_[a, b]))
 
 
+class HeldPool:
+    """A pool in memory."""
+
+    def __init__(self, x: np.ndarray, m: np.ndarray):
+        self.views, self.open = {"text": x, "meta": m}, np.ones(len(x), dtype=bool)
+
+    def surest(self, view: str, model: Logistic, label: float, n: int, least: float) -> tuple[np.ndarray, np.ndarray]:
+        """Views of the ``n`` open rows that the model is surest have the label; they are open no longer."""
+        rows = np.flatnonzero(self.open)
+        p = _p(model.odds(self.views[view][rows]))
+        sure = np.maximum(p, 1 - p)
+        mine = np.flatnonzero(((p >= 0.5) == (label == 1.0)) & (sure >= least))
+        pick = rows[mine[np.argsort(-sure[mine], kind="stable")[:n]]]
+        self.open[pick] = False
+        return self.views["text"][pick], self.views["meta"][pick]
+
+
+class SpreadPool:
+    """All unlabelled documents, scored in Spark; only the rows picked reach the driver."""
+
+    def __init__(self, rows: DataFrame):
+        self.rows, self.taken = rows, set()
+
+    def surest(self, view: str, model: Logistic, label: float, n: int, least: float) -> tuple[np.ndarray, np.ndarray]:
+        taken = frozenset(self.taken)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                if not batch.num_rows:
+                    continue
+                x = batch.column(2).flatten().to_numpy().reshape(-1, _N_TEXT) if view == "text" else _one_hot(batch.column(3).flatten().to_numpy().reshape(-1, 3))
+                p = _p(model.odds(x))
+                sure = np.maximum(p, 1 - p)
+                mine = np.flatnonzero(((p >= 0.5) == (label == 1.0)) & (sure >= least))
+                ids = batch.column(0).take(pa.array(mine)).to_pylist()
+                mine = mine[np.array([i not in taken for i in ids], dtype=bool)]
+                tie = batch.column(1).to_numpy()
+                mine = mine[np.lexsort((tie[mine], -sure[mine]))[:n]]  # no other row of this batch can be among the first n
+                best = batch.take(pa.array(mine))
+                yield pa.RecordBatch.from_arrays([*best.columns, pa.array(sure[mine])], names=[*best.schema.names, "sure"])
+
+        kind = dict(self.rows.dtypes)["doc_id"]
+        best = self.rows.mapInArrow(run, f"doc_id {kind}, tie bigint, x array<double>, at array<int>, sure double")
+        found = best.orderBy(F.desc("sure"), "tie", "doc_id", "x").limit(n).collect()
+        self.taken |= {r["doc_id"] for r in found}
+        return np.array([r["x"] for r in found]).reshape(-1, _N_TEXT), _one_hot(np.array([r["at"] for r in found], dtype=np.int64).reshape(-1, 3))
+
+
+def _one_hot(at: np.ndarray) -> np.ndarray:
+    out = np.zeros((len(at), 8 + _SOURCES + _LENGTHS))
+    np.put_along_axis(out, at.astype(np.int64), 1.0, axis=1)
+    return out
+
+
+def spread_pool(docs: DataFrame, labels: DataFrame, cfg: CoTrainingConfig) -> SpreadPool:
+    """Views of every document without a label, written once; call it inside a workspace."""
+    kind = dict(docs.dtypes)["doc_id"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, x, m in _views(batches):
+            at = pa.array(np.nonzero(m)[1].reshape(-1, 3).astype(np.int32).tolist(), pa.list_(pa.int32()))  # one of each of the three groups
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(list(x), pa.list_(pa.float64())), at], names=["doc_id", "x", "at"])
+
+    views = prune(docs, "doc_id", "text", "lang", "source", "n_chars").where("doc_id is not null").mapInArrow(run, f"doc_id {kind}, x array<double>, at array<int>")
+    named = prune(labels, "doc_id", "quality").where("doc_id is not null and quality in (0, 1)").select("doc_id")
+    rows = views.join(named, "doc_id", "left_anti").select("doc_id", F.xxhash64(F.lit(cfg.seed), "doc_id").alias("tie"), "x", "at")
+    return SpreadPool(materialise(rows, "pool"))
+
+
 def co_train(x: np.ndarray, m: np.ndarray, y: np.ndarray, pool_x: np.ndarray, pool_m: np.ndarray, cfg: CoTrainingConfig = CoTrainingConfig()) -> CoTrained | None:
+    """``co_train_pool`` on a pool in memory."""
+    return co_train_pool(x, m, y, HeldPool(pool_x, pool_m), cfg)
+
+
+def co_train_pool(x: np.ndarray, m: np.ndarray, y: np.ndarray, pool: HeldPool | SpreadPool, cfg: CoTrainingConfig = CoTrainingConfig()) -> CoTrained | None:
     """Fit both views; every fourth labelled row is kept for calibration.  None without two classes."""
     held = np.arange(len(y)) % 4 == 0
     if len(np.unique(y[held])) < 2 or len(np.unique(y[~held])) < 2:
         return None
     tx, ty_x = x[~held], y[~held]
     tm, ty_m = m[~held], y[~held]
-    open_ = np.ones(len(pool_x), dtype=bool)
     history = []
     for turn in range(cfg.rounds + 1):
         text, meta = Logistic(tx, ty_x), Logistic(tm, ty_m)
         history.append({"round": turn, "text_rows": len(ty_x), "meta_rows": len(ty_m), "text_accuracy": float(((text.odds(x[held]) > 0) == y[held]).mean()), "meta_accuracy": float(((meta.odds(m[held]) > 0) == y[held]).mean())})
-        if turn == cfg.rounds or not open_.any():
+        if turn == cfg.rounds:
             break
-        for model, own, other in ((text, pool_x, "meta"), (meta, pool_m, "text")):
-            rows = np.flatnonzero(open_)
-            p = _p(model.odds(own[rows]))
-            sure = np.maximum(p, 1 - p)
+        for model, view in ((text, "text"), (meta, "meta")):
             for label in (0.0, 1.0):  # as many of each class as its share of the labels
                 share = max(1, round(cfg.each_round * float((y == label).mean())))
-                mine = np.flatnonzero(((p >= 0.5) == (label == 1.0)) & (sure >= cfg.sure))
-                pick = rows[mine[np.argsort(-sure[mine], kind="stable")[:share]]]
-                if not len(pick):
-                    continue
-                open_[pick] = False
-                if other == "meta":
-                    tm, ty_m = np.r_[tm, pool_m[pick]], np.r_[ty_m, np.full(len(pick), label)]
+                new_x, new_m = pool.surest(view, model, label, share, cfg.sure)
+                if view == "text":
+                    tm, ty_m = np.r_[tm, new_m], np.r_[ty_m, np.full(len(new_m), label)]
                 else:
-                    tx, ty_x = np.r_[tx, pool_x[pick]], np.r_[ty_x, np.full(len(pick), label)]
+                    tx, ty_x = np.r_[tx, new_x], np.r_[ty_x, np.full(len(new_x), label)]
     a, b = text.odds(x[held])[:, None], meta.odds(m[held])[:, None]
     text_scale, meta_scale = Logistic(a, y[held]), Logistic(b, y[held])
     both = Logistic(np.c_[text_scale.odds(a), meta_scale.odds(b)], y[held])
@@ -192,7 +258,13 @@ def score(docs: DataFrame, model: CoTrained | None, cfg: CoTrainingConfig = CoTr
 
 
 def classify(docs: DataFrame, labels: DataFrame, cfg: CoTrainingConfig = CoTrainingConfig()) -> DataFrame:
-    """Co-train on the bounded sample and score all documents."""
-    x, m, y = training_views(docs, labels, cfg)
-    pool = y < 0
-    return score(docs, co_train(x[~pool], m[~pool], y[~pool], x[pool], m[pool], cfg), cfg)
+    """Co-train on a bounded sample of labels and all unlabelled documents, and score all documents."""
+    return score(docs, fit(docs, labels, cfg), cfg)
+
+
+def fit(docs: DataFrame, labels: DataFrame, cfg: CoTrainingConfig = CoTrainingConfig()) -> CoTrained | None:
+    x, m, y = training_views(docs, labels, replace(cfg, n_pool=0))
+    if len(np.unique(y)) < 2:
+        return None
+    with Workspace():
+        return co_train_pool(x, m, y, spread_pool(docs, labels, cfg), cfg)

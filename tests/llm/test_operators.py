@@ -242,6 +242,21 @@ def test_co_training(spark, sf):
     assert right > base
 
 
+def test_co_training_offers_every_unlabelled_document(spark):
+    docs, labels = table(spark, "/root/testdata/sf0.01", "documents"), table(spark, "/root/testdata/sf0.01", "labels")
+    few = cotraining.CoTrainingConfig(n_pool=10)
+    assert sum(cotraining.fit(docs, labels, few).history[-1][k] - cotraining.fit(docs, labels, few).history[0][k] for k in ("text_rows", "meta_rows")) > 10
+    x, m, y = cotraining.training_views(docs, labels, cotraining.CoTrainingConfig(n_pool=10**6))
+    model = cotraining.Logistic(x[y >= 0], y[y >= 0])
+    for label in (0.0, 1.0):
+        want = cotraining.HeldPool(x[y < 0], m[y < 0]).surest("text", model, label, 30, 0.6)
+        spread = cotraining.spread_pool(docs.repartition(7), labels, few)
+        got = spread.surest("text", model, label, 30, 0.6)
+        assert np.allclose(np.sort(model.odds(want[0])), np.sort(model.odds(got[0]))) and len(got[0]) == 30
+        assert not spread.taken & {r["doc_id"] for r in labels.collect()}
+        assert got[1].sum(1).tolist() == [3.0] * 30
+
+
 def test_co_training_without_labels(spark, odd):
     d = odd.select("doc_id", "text", F.lit(None).cast("string").alias("lang"), F.lit(None).cast("string").alias("source"), F.lit(None).cast("long").alias("n_chars"))
     empty = spark.createDataFrame([], "doc_id long, quality int")
