@@ -97,6 +97,17 @@ class NoticeMatcher:
                     spans.append([lo, hi])
         return found
 
+    def best_first(self, i: int, text: str, lo: int, hi: int) -> Iterator:
+        """The best match of a window, then those of what is left of it and right of it."""
+        open_ = [(lo, hi)]
+        least = len(self.notices[i].phrase) - self.notices[i].edits
+        while open_:
+            lo, hi = open_.pop()
+            m = self.patterns[i].search(text, lo, hi) if hi - lo >= least else None
+            if m:
+                yield m
+                open_ += [(lo, m.start()), (m.end(), hi)]
+
     def match(self, raw: bytes) -> dict:
         words = raw.translate(_WORD_BYTES).split()
         text = (b" " + b" ".join(words) + b" ").decode("latin-1")  # one character a byte
@@ -112,16 +123,20 @@ class NoticeMatcher:
                     while at >= 0:
                         base.add((text.count(" ", 0, at), n.label))
                         at = text.find(exact, at + 1, hi + 1)
-                for m in self.patterns[i].finditer(text, lo, hi):
+                for m in self.best_first(i, text, lo, hi):
                     inner = m[0].strip(" ")
                     if not inner:
                         continue
                     edits = sum(m.fuzzy_counts)
                     begin = m.start() + len(m[0]) - len(m[0].lstrip(" "))
                     end = m.end() - (len(m[0]) - len(m[0].rstrip(" ")))
+                    if edits == 0 and not (text[begin - 1] == " " == text[end]):  # part of longer words: their other letters are edits
+                        left, right = text.rfind(" ", 0, begin) + 1, text.find(" ", end)
+                        edits = begin - left + right - end
+                        if edits > n.edits:
+                            continue
+                        begin, end, inner = left, right, text[left:right]
                     before = text.count(" ", 0, begin) - 1
-                    if edits == 0 and not (text[begin - 1] == " " == text[end]):
-                        continue  # part of longer words
                     span = {"label": n.label, "first_word": before, "end_word": before + 1 + inner.count(" "), "edits": edits, "matched": inner.encode("latin-1").decode("utf-8", "replace")}
                     key = (before, n.label, span["end_word"])
                     if key not in spans or edits < spans[key]["edits"]:

@@ -70,6 +70,16 @@ def test_licences_fuzzy_spans(spark):
     assert (r[1]["labels"], r[1]["score"]) == ("", 0.0)
 
 
+def test_licences_chains_and_longer_words(spark):
+    texts = ["under the mlt license under the mit license", "under the mit licensed", "gnu general public licenses", "under the mlt license under the mit licensed", "under the mit licensedddd", "acc by nc", "under the mlt license " * 3 + "under the mit license"]
+    got = [[(s["label"], s["first_word"], s["end_word"], s["edits"]) for s in r["spans"]] for r in licences.search_notices(frame(spark, list(enumerate(texts)))).orderBy("doc_id").collect()]
+    assert got[0] == [("mit", 0, 4, 1), ("mit", 4, 8, 0)]
+    assert got[1] == [("mit", 0, 4, 1)] and got[2] == [("gpl", 0, 4, 1)]
+    assert got[3] == [("mit", 0, 4, 1), ("mit", 4, 8, 1)]
+    assert got[4] == got[5] == []
+    assert got[6] == [("mit", 0, 4, 1), ("mit", 4, 8, 1), ("mit", 8, 12, 1), ("mit", 12, 16, 0)]
+
+
 # ---- 2, 4
 
 
