@@ -17,5 +17,9 @@ SQL: dict[str, str] = {
  f as (select s.user_id, s.sec as signup, s.event_id, (select min(o.sec) from o where o.user_id = s.user_id and o.event_type = 'purchase' and (o.sec, o.event_id) > (s.sec, s.event_id)) as bought,
   (select max(o.sec) from o where o.user_id = s.user_id and (o.sec, o.event_id) > (s.sec, s.event_id)) as seen from s)
  select user_id, signup, case when bought <= signup + 604800 then 'kept' else 'missed' end as verdict from f where bought <= signup + 604800 or seen > signup + 604800""",
+    "st_deadline_all": """with s as (select user_id, event_id, cast(floor(epoch(ts)) as bigint) as sec from events where event_type = 'signup'),
+ b as (select user_id, event_id, cast(floor(epoch(ts)) as bigint) as sec from events where event_type = 'purchase'),
+ f as (select s.user_id, s.sec as signup, (select min(b.sec) from b where b.user_id = s.user_id and (b.sec, b.event_id) > (s.sec, s.event_id)) as bought from s)
+ select user_id, signup, case when bought <= signup + 604800 then 'kept' when (select max(floor(epoch(ts))) from events) > signup + 604800 then 'missed' else 'open' end as verdict from f""",
     "st_incremental_rules": "select user_id, arg_max(event_id, (ts, event_id)) as event_id, count(*) as n_versions from events group by 1",
 }

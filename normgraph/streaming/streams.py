@@ -26,8 +26,11 @@ def query(f):  # noqa: ANN001, ANN201
     return f
 
 
-def source(spark: SparkSession, sf: str, max_files: int = 1, more: tuple[str, ...] = ()) -> DataFrame:
-    """The events as a stream of files in time order; ``ts`` gets a zone, which watermarks need."""
+def source(spark: SparkSession, sf: str, max_files: int = 1, more: tuple[str, ...] = (), close: bool = False) -> DataFrame:
+    """The events as a stream of files in time order; ``ts`` gets a zone, which watermarks need.
+
+    With ``close`` a last file has a closing row for each user with a signup, at the time of the last event.
+    """
     cols = ["event_id", "ts", "user_id", "event_type", "value", *more]
     path = f"{scratch(spark)}/events-{uuid.uuid4().hex}"
     e = table(spark, sf, "events", *cols[:5]).withColumn("ts", F.col("ts").cast("timestamp"))
@@ -35,6 +38,11 @@ def source(spark: SparkSession, sf: str, max_files: int = 1, more: tuple[str, ..
     step = ((hi or 0) - (lo or 0)) // FILES + 1
     for i in range(FILES):  # one after the other: the file source takes files in the order of their times
         e.where(F.floor((F.unix_timestamp("ts") - (lo or 0)) / step) == i).coalesce(1).write.mode("append").parquet(path)
+    if close:
+        last = e.agg(F.max("ts").alias("ts"))
+        users = e.where("event_type = 'signup'").select("user_id").distinct().crossJoin(F.broadcast(last))
+        rows = {"event_id": F.lit(2**63 - 1), "event_type": F.lit("close"), "value": F.lit(None)}
+        users.select(*[(rows.get(f.name, F.col(f.name))).cast(f.dataType).alias(f.name) for f in e.schema]).coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(e.schema).option("maxFilesPerTrigger", max_files).option("latestFirst", "false").parquet(path)
 
 
@@ -112,11 +120,21 @@ OWED_DAYS = 7
 
 @query
 def st_deadline(spark, sf):
-    """A purchase is owed within seven days of a user's signup: one row for each signup, kept or missed.
+    """A purchase is owed within seven days of a user's signup: kept or missed, as a later event of the user shows.
 
-    State holds the open signups of a user; what is still open when the input ends is settled by event-time timeout
-    in a real stream, and by the closing row here.
+    Signups without such an event have no row here; ``st_deadline_all`` has one for every signup.
     """
+    return _deadlines(source(spark, sf, max_files=1))
+
+
+@query
+def st_deadline_all(spark, sf):
+    """One row for each signup: kept, missed, or open (still within its time at the last event of all)."""
+    return _deadlines(source(spark, sf, max_files=1, close=True))
+
+
+def _deadlines(events: DataFrame) -> DataFrame:
+    """Verdicts from a stream; state holds the open signups of a user, which a closing row settles."""
 
     def judge(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         open_ = list(state.get[0]) if state.exists else []
@@ -131,10 +149,13 @@ def st_deadline(spark, sf):
                 elif r.event_type == "purchase":
                     out += [(key[0], s, "kept") for s in open_]
                     open_ = []
+                elif r.event_type == "close":
+                    out += [(key[0], s, "open") for s in open_]
+                    open_ = []
         state.update((open_,))
         yield pd.DataFrame(out, columns=["user_id", "signup", "verdict"])
 
-    s = source(spark, sf, max_files=1).where("event_type in ('signup', 'purchase')").select("user_id", "event_id", "event_type", F.unix_timestamp("ts").alias("sec"))
+    s = events.where("event_type in ('signup', 'purchase', 'close')").select("user_id", "event_id", "event_type", F.unix_timestamp("ts").alias("sec"))
     v = s.groupBy("user_id").applyInPandasWithState(judge, "user_id long, signup long, verdict string", "open array<long>", "append", GroupStateTimeout.NoTimeout)
     return drain(v)
 

@@ -22,3 +22,9 @@ def test_triples_agree_with_tables_on_every_shape(spark, sf):
     a, b = (sorted(map(tuple, q[n](spark, sf).select("shape_id", "focus_class", "focus_id", "path", "observed", "severity").collect())) for n in ("wl_validate_triples", "validate_tables"))
     assert a == b
     assert {r[0] for r in a} >= {"S4", "S5", "S7"}
+
+
+def test_every_signup_has_a_verdict(spark, sf):
+    v = e.queries()["st_deadline_all"](spark, sf)
+    assert v.count() == spark.read.parquet(f"{sf}/events.parquet").where("event_type = 'signup'").count()
+    assert {r["verdict"] for r in v.select("verdict").distinct().collect()} <= {"kept", "missed", "open"}
