@@ -100,6 +100,34 @@ def chunks(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int =
                 yield batch.slice(a, b - a)
 
 
+def runs_of(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterator[pa.Table]:
+    """Groups of rows with equal integer ``keys`` from batches sorted by them; a group may span batches."""
+    held: list[pa.RecordBatch] = []
+
+    def edge(batch: pa.RecordBatch, row: int) -> tuple:
+        return tuple(batch.column(batch.schema.get_field_index(k))[row].as_py() for k in keys)
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        new = np.zeros(batch.num_rows, dtype=bool)
+        for k in keys:
+            v = batch.column(batch.schema.get_field_index(k)).to_numpy(zero_copy_only=False)
+            new[1:] |= v[1:] != v[:-1]
+        new[0] = bool(held) and edge(held[-1], held[-1].num_rows - 1) != edge(batch, 0)
+        cuts = [*np.flatnonzero(new).tolist(), batch.num_rows]
+        at = 0
+        for cut in cuts:
+            if cut > at:
+                held.append(batch.slice(at, cut - at))
+            if cut < batch.num_rows and held:
+                yield pa.Table.from_batches(held)
+                held = []
+            at = cut
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 def ragged_take(flat: np.ndarray, offs: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Concatenate ``flat[offs[i]:offs[i+1]]`` for every i of ``which``; also the lengths."""
     lens = (offs[1:] - offs[:-1])[which]

@@ -4,8 +4,8 @@ A sketch has ``bins`` coordinates.  In round i < bins every shingle is placed in
 rounds all shingles go to the one bin whose turn it is.  A coordinate keeps the smallest value of the first
 round that reached it, so all coordinates fill after at most twice ``bins`` rounds.  Bands of coordinates
 propose pairs.  Equal sets are one class from the start; inside a bucket, members are first compared with single
-centres (rounds with different centres), and only members of different components that are left are paired,
-by an exact prefix filter.  Every link is confirmed on the full sets.
+centres (rounds with different centres); members of different components that are left are compared block by
+block inside tasks behind exact bounds.  Every link is confirmed on the full sets.
 """
 
 from __future__ import annotations
@@ -19,9 +19,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from normgraph.llm.common import CHUNK_BYTES, Workspace, chunks, materialise, prune, text_bytes
+from normgraph.llm.common import CHUNK_BYTES, Workspace, chunks, materialise, prune, runs_of, text_bytes
 from normgraph.llm.wordhash import as_long, grams, hash_words, mix
 
+ODD_BITS = 1024
+BLOCK = 512  # rows of one prefix shingle that a task compares with as many others
+
 
 @dataclass(frozen=True)
 class NearDupConfig:
@@ -240,40 +243,99 @@ def _centre_pairs(mixed: DataFrame, n: int, turn: int) -> DataFrame:
     return pairs.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
 
 
-def _prefix_pairs(rest: DataFrame, texts: DataFrame, cfg: NearDupConfig) -> DataFrame:
-    """Pairs of different components among ``rest (rep, label)`` that the prefix filter admits; it is exact.
+def odd_sketch(values: np.ndarray) -> bytes:
+    """Parity of the number of shingles in each of ``ODD_BITS`` hashed bits.
+
+    Two sketches differ in at most as many bits as the sets differ in shingles, so the distance rules pairs out for sure.
+    """
+    at = (mix(values ^ np.uint64(0xA5A5A5A5A5A5A5A5)) & np.uint64(ODD_BITS - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=ODD_BITS) & 1).astype(np.uint8)).tobytes()
+
 
-    With shingles in one global order, rarest first, two sets of n and m shingles that reach the similarity share
-    one among their first n - ceil(t n) + 1 and m - ceil(t m) + 1.  Shingles of one text alone come first and only
-    use up places, so texts that were altered in many places, which fill a bucket without any link, have no pairs.
+def _prefix_rows(rest: DataFrame, texts: DataFrame, cfg: NearDupConfig) -> DataFrame:
+    """``(g, rep, label, size, pos, sk)``: each set's first shingles in one global order, rarest first.
+
+    Two sets of n and m shingles that reach the similarity share one among their first n - ceil(t n) + 1 and
+    m - ceil(t m) + 1.  Shingles of one text alone come first and only use up places.
     """
     kind = dict(rest.dtypes)["rep"]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def shingled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in chunks(batches, "text"):
+            sets = shingle_sets(text_bytes(part.column(1)), cfg.words)
+            row = pa.array(np.repeat(np.arange(len(sets)), [len(x) for x in sets]))
+            yield pa.RecordBatch.from_arrays([part.column(2).take(row), pa.array(as_long(np.concatenate(sets)))], names=["rid", "g"])
+
+    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in chunks(batches, "text"):
             sets = shingle_sets(text_bytes(part.column(1)), cfg.words)
-            size = np.array([len(x) for x in sets])
-            row = pa.array(np.repeat(np.arange(len(sets)), size))
-            yield pa.RecordBatch.from_arrays([part.column(0).take(row), pa.array(as_long(np.concatenate(sets)))], names=["rep", "g"])
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array([len(x) for x in sets], pa.int64()), pa.array([odd_sketch(x) for x in sets], pa.binary())], names=["rep", "rid", "size", "sk"])
 
-    some = texts.join(rest.select("rep").distinct(), "rep", "left_semi").select("rep", "text")
-    grams_ = materialise(some.mapInArrow(run, f"rep {kind}, g bigint").distinct(), "grams")
+    some = texts.join(rest.select("rep").distinct(), "rep", "left_semi").select("rep", "text", F.xxhash64("rep", "text").alias("rid"))
+    grams_ = materialise(some.mapInArrow(shingled, "rid bigint, g bigint"), "grams")
+    sketch = some.mapInArrow(sketched, f"rep {kind}, rid bigint, size bigint, sk binary")
     common = grams_.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    sizes = grams_.groupBy("rep").agg(F.count(F.lit(1)).alias("size"))
-    shared = grams_.join(common, "g").groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("n", "g"))).alias("gs"))  # as many as one text has
-    per_rep = shared.join(sizes, "rep").join(rest, "rep")
-    places = F.col("size") - F.ceil(F.col("size") * cfg.percent / 100) + 1 - (F.col("size") - F.size("gs"))
-    first = per_rep.where(places > 0).select("rep", "label", "size", F.explode(F.slice(F.col("gs"), F.lit(1), places.cast("int"))).alias("x")).select("rep", "label", "size", F.col("x.g").alias("g"))
+    shared = grams_.join(common, "g").groupBy("rid").agg(F.sort_array(F.collect_list(F.struct("n", "g"))).alias("gs"))  # as many as one text has
+    alone = F.col("size") - F.size("gs")
+    places = F.col("size") - F.ceil(F.col("size") * cfg.percent / 100) + 1 - alone
+    first = shared.join(sketch, "rid").where(places > 0).join(rest, "rep")
+    first = first.select("rep", "label", "size", "sk", alone.alias("alone"), F.posexplode(F.slice(F.col("gs"), F.lit(1), places.cast("int"))).alias("at", "x"))
+    return first.select(F.col("x.g").alias("g"), "rep", "label", "size", (F.col("alone") + F.col("at") + 1).alias("pos"), "sk")
+
+
+def _prefix_pairs(rest: DataFrame, texts: DataFrame, cfg: NearDupConfig) -> DataFrame:
+    """Pairs of different components among ``rest (rep, label)`` that may be links; no link is left out.
+
+    Rows of one prefix shingle are cut into blocks of at most about ``BLOCK`` by a hash; a task holds one or two
+    blocks and compares their rows: sizes, places (what follows the first common shingle must suffice) and the
+    distance of the odd sketches.  Each of these bounds is exact, and only pairs that pass all of them leave the task.
+    """
+    kind = dict(rest.dtypes)["rep"]
+    first = materialise(_prefix_rows(rest, texts, cfg), "prefix")
     # a shingle whose texts are all in one component pairs nothing
-    mixed = first.groupBy("g").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("g")
-    first = materialise(first.join(mixed, "g", "left_semi"), "prefix")
-    x = first.select("g", F.col("rep").alias("a"), F.col("label").alias("la"), F.col("size").alias("na"))
-    y = first.select("g", F.col("rep").alias("b"), F.col("label").alias("lb"), F.col("size").alias("nb"))
-    fits = F.lit(100) * F.least("na", "nb") >= F.lit(cfg.percent) * F.greatest("na", "nb")
-    return x.join(y, "g").where((F.col("a") < F.col("b")) & (F.col("la") != F.col("lb")) & fits).select("a", "b").distinct()
+    groups = first.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi")
+    parts = F.ceil(F.col("n") / BLOCK).cast("int")
+    rows = first.join(groups.select("g", parts.alias("parts")), "g").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    rows = rows.select("g", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "rep", "label", "size", "pos", "sk")
+    rows = rows.repartition("g", "lo", "hi").sortWithinPartitions("g", "lo", "hi")
+
+    def pairs(table: pa.Table) -> pa.RecordBatch:
+        """Of one block or of one pair of blocks."""
+        get = lambda c: table.column(c).to_numpy()
+        own, size, pos = get("own"), get("size"), get("pos")
+        _, label = np.unique(get("label"), return_inverse=True)
+        sk = np.frombuffer(b"".join(table.column("sk").to_pylist()), dtype=np.uint64).reshape(len(size), -1)
+        a, b = np.flatnonzero(own == own.min()), np.flatnonzero(own == own.max())
+        need = cfg.percent * (size[a][:, None] + size[b][None, :])
+        left = size - pos
+        fits = (100 + cfg.percent) * (np.minimum(left[a][:, None], left[b][None, :]) + 1) >= need
+        fits &= label[a][:, None] != label[b][None, :]
+        fits &= 100 * np.minimum(size[a][:, None], size[b][None, :]) >= cfg.percent * np.maximum(size[a][:, None], size[b][None, :])
+        if own.min() == own.max():
+            fits = np.triu(fits, 1)
+        i, j = np.nonzero(fits)
+        i, j = a[i], b[j]
+        near = np.zeros(len(i), dtype=bool)
+        for at in range(0, len(i), 1 << 15):
+            x, y = i[at : at + (1 << 15)], j[at : at + (1 << 15)]
+            apart = np.bitwise_count(sk[x] ^ sk[y]).sum(1, dtype=np.int64)
+            near[at : at + (1 << 15)] = (100 + cfg.percent) * apart <= (100 - cfg.percent) * (size[x] + size[y])
+        rep = table.column("rep").combine_chunks()
+        return pa.RecordBatch.from_arrays([rep.take(pa.array(i[near])), rep.take(pa.array(j[near]))], names=["a", "b"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table in runs_of(batches, ("g", "lo", "hi")):
+            if table.num_rows > 1:
+                found = pairs(table)
+                if found.num_rows:
+                    yield found
+
+    found = rows.mapInArrow(run, f"a {kind}, b {kind}").where("a <> b")
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def keep_one_of_each(docs: DataFrame, cfg: NearDupConfig = NearDupConfig()) -> DataFrame:
     """One document of each class; all columns of ``docs`` stay, and rows with a null doc_id stay."""
-    out = near_duplicates(docs, cfg).where("not kept and doc_id is not null").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(out, docs["doc_id"] == F.col("_gone"), "left_anti")
+    out = near_duplicates(docs, cfg).where("not kept and doc_id is not null").select("doc_id").distinct()
+    return docs.join(out, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -422,3 +422,27 @@ def test_pipeline(spark, sf):
     kept = docs.join(out.select("doc_id"), "doc_id", "left_semi")
     comps = brute_components([(r["doc_id"], r["text"]) for r in kept.collect()], 5, 80)
     assert all(c == d for d, (n, c) in comps.items() if n)
+
+
+def test_near_duplicates_of_many_altered_copies(spark, monkeypatch):
+    """2,000 altered copies of one text, most of them no links of each other, in blocks far smaller than the group."""
+    rng = random.Random(21)
+    base = words(rng, 60).split()
+    rows = []
+    for i in range(2000):
+        w = list(base)
+        for at in rng.sample(range(60), rng.randint(0, 9)):
+            w[at] = rng.choice(VOCAB) + str(rng.randint(0, 5))
+        rows.append((i, " ".join(w)))
+    monkeypatch.setattr(minhash, "BLOCK", 64)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in minhash.near_duplicates(frame(spark, rows)).collect()}
+    assert got == brute_components(rows, 2, 80)
+
+
+def test_odd_sketches_never_overstate_the_difference():
+    rng = np.random.default_rng(1)
+    for n in (1, 30, 500, 5000):
+        a = np.unique(rng.integers(0, 2**63, n, dtype=np.uint64))
+        b = np.unique(np.concatenate([a[: n // 2], rng.integers(0, 2**63, n, dtype=np.uint64)]))
+        x, y = (np.frombuffer(minhash.odd_sketch(v), dtype=np.uint64) for v in (a, b))
+        assert int(np.bitwise_count(x ^ y).sum()) <= len(np.setxor1d(a, b))
