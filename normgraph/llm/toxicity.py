@@ -1,8 +1,8 @@
-"""Toxicity by compression distance with two zstandard dictionaries.
+"""Toxicity by compression distance with zstandard dictionaries trained on toxic and on ordinary text.
 
-Both dictionaries end in the same ordinary text; one begins with the terms that mark toxic training texts,
-the other with as many bytes of ordinary ones.  A window (a fixed carrier and some words) is compressed with
-each; how many bytes the toxic dictionary saves, over all windows of a text, is calibrated into a score.
+The ordinary dictionary is trained on windows of ordinary training texts, the toxic one on what recurs in toxic
+training texts and is rare in ordinary ones.  Windows of some words, over the whole text, are compressed with
+the ordinary dictionary and with both in a row; the bytes that the toxic one saves are calibrated into a score.
 """
 
 from __future__ import annotations
@@ -22,22 +22,26 @@ from normgraph.llm.wordhash import LOWER
 
 #: Bytes that words keep: a-z and everything past ASCII.
 _LETTERS = bytes(b if b >= 0x80 or chr(b).isalpha() else 0x20 for b in LOWER)
-_CACHE = 1_500_000
+_CALL = 1 << 14  # windows a call of the compressor
 
 
 @dataclass(frozen=True)
 class ToxicityConfig:
-    """``n_toxic`` and ``n_ordinary`` bound the labelled rows used for training."""
+    """``n_toxic`` and ``n_ordinary`` bound the labelled rows used for training, ``max_bytes`` the length of each."""
 
     n_toxic: int = 1200
     n_ordinary: int = 2400
-    dict_bytes: int = 64 << 10
-    carrier_bytes: int = 64
-    window_words: int = 1
+    max_bytes: int = 64 << 10
+    window_words: int = 5
+    step_words: int = 4
+    ordinary_bytes: int = 8 << 10
+    toxic_bytes: int = 4 << 10
+    carrier_bytes: int = 48
     level: int = 13
     min_texts: int = 3
+    max_share: float = 0.001
     min_ratio: float = 8.0
-    prefixes: tuple[int, ...] = (6, 7, 8, 10)
+    calibrate_every: int = 4
     seed: int = 42
 
 
@@ -45,7 +49,6 @@ class ToxicityConfig:
 class ToxicityModel:
     toxic: bytes
     ordinary: bytes
-    carrier: bytes
     weights: np.ndarray | None
     mean: np.ndarray | None
     scale: np.ndarray | None
@@ -57,74 +60,98 @@ def words_of(raw: bytes) -> list[bytes]:
     return raw.translate(_LETTERS).split()
 
 
-def build_dictionaries(texts: list[tuple[bytes, int]], cfg: ToxicityConfig) -> tuple[bytes, bytes, bytes]:
-    """Raw dictionary contents (toxic, ordinary) and the carrier, from labelled texts."""
-    seen: tuple[Counter, Counter] = (Counter(), Counter())
-    total = [0, 0]
-    usual: Counter = Counter()
-    for raw, label in texts:
-        words = words_of(raw)
-        terms = {b" " + w + b" " for w in words}
-        for w in set(words):
-            shown = w.decode("utf-8", "ignore")
-            terms |= {(" " + shown[: n - 1]).encode() for n in cfg.prefixes if len(shown) >= n - 1}
-        seen[label].update(terms)
+def _train_dictionary(size: int, samples: list[bytes], k: int) -> bytes:
+    """The content of a dictionary of at most ``size`` bytes; samples too few to train on are the dictionary."""
+    import zstandard
+
+    size = min(size, max(512, sum(map(len, samples)) // 4))
+    try:  # the trainer puts entropy tables before the content; the windows are too short to gain by them
+        return zstandard.train_dictionary(size + 512, samples, k=k, d=6, level=3).as_bytes()[-size:]
+    except zstandard.ZstdError:
+        return b"".join(samples)[-size:]
+
+
+def build_dictionaries(texts: list[tuple[bytes, int]], cfg: ToxicityConfig) -> tuple[bytes, bytes]:
+    """Dictionary contents (toxic, ordinary) from labelled texts.
+
+    Samples of the ordinary one are windows from all over the ordinary texts.  Those of the toxic one are the
+    words of each toxic text that other toxic texts have too and ordinary texts hardly, in text order.
+    """
+    docs = [(words_of(raw), label) for raw, label in texts]
+    seen, total = (Counter(), Counter()), [0, 0]
+    for words, label in docs:
+        seen[label].update(set(words))
         total[label] += 1
-        if not label:
-            usual.update(b" " + w for w in words)
-    ranked = sorted(
-        ((n / total[1]) / ((seen[0][t] + 1) / max(1, total[0])), n, t) for t, n in seen[1].items() if n >= cfg.min_texts
-    )
-    marks = [t for ratio, _, t in ranked if ratio >= cfg.min_ratio]
-    known = set(marks)
-    longer = {t[:i] for t in known for i in range(2, len(t))}  # terms that begin a longer kept one
-    marks = [t for t in marks if t not in longer]
-    order = [w for w, _ in sorted(usual.items(), key=lambda x: (-x[1], x[0]))[:20000]]
-    base = b"".join(order[::-1])[-cfg.dict_bytes :] or b" "
-    head = b"".join(marks)
-    rest = b"".join(order[len(order) // 2 :]) or b" "
-    fill = (rest * (len(head) // len(rest) + 1))[: len(head)]
-    return head + base, fill + base, base[-cfg.carrier_bytes :]
+    n0, n1 = max(1, total[0]), max(1, total[1])
+
+    def marks(w: bytes) -> bool:
+        toxic, ordinary = seen[1][w], seen[0][w]
+        return toxic >= cfg.min_texts and ordinary <= cfg.max_share * n0 and toxic / n1 >= cfg.min_ratio * (ordinary + 1) / n0
+
+    toxic_samples, ordinary_samples = [], []
+    rng = np.random.default_rng(cfg.seed)
+    for words, label in docs:
+        if label:
+            own = [w for w in dict.fromkeys(words) if marks(w)]
+            toxic_samples += [b" " + b" ".join(own[i : i + 2]) + b" " for i in range(0, len(own), 2)]
+        elif words:
+            ordinary_samples += [b" " + b" ".join(words[i : i + 8]) + b" " for i in rng.integers(0, len(words), 8)]
+    return _train_dictionary(cfg.toxic_bytes, toxic_samples, 24), _train_dictionary(cfg.ordinary_bytes, ordinary_samples, 32) or b" "
 
 
 class WindowMeter:
-    """Bytes that the toxic dictionary saves on each window; remembers windows, up to a bounded number."""
+    """Bytes that the toxic dictionary saves on each window of words."""
 
-    def __init__(self, toxic: bytes, ordinary: bytes, carrier: bytes, cfg: ToxicityConfig):
+    def __init__(self, toxic: bytes, ordinary: bytes, cfg: ToxicityConfig):
         import zstandard
 
-        params = zstandard.ZstdCompressionParameters.from_level(cfg.level, min_match=3, write_content_size=False, write_checksum=False, write_dict_id=False)
-        raw = zstandard.DICT_TYPE_RAWCONTENT
-        self.pair = [zstandard.ZstdCompressor(dict_data=zstandard.ZstdCompressionDict(d, dict_type=raw), compression_params=params).compress for d in (toxic, ordinary)]
-        self.carrier, self.words = carrier, cfg.window_words
-        self.cache: dict[bytes, int] = {}
-
-    def saved(self, raw: bytes) -> np.ndarray:
-        words = words_of(raw)
-        if self.words > 1:
-            words = [b" ".join(words[i : i + self.words]) for i in range(0, len(words), self.words)]
-        cache, (toxic, ordinary), carrier = self.cache, self.pair, self.carrier
-        if len(cache) > _CACHE:
-            cache.clear()
-        out = [0]
-        for w in words:
-            d = cache.get(w)
-            if d is None:
-                window = carrier + b" " + w + b" "
-                d = cache[w] = len(ordinary(window)) - len(toxic(window))
-            out.append(d)
-        return np.array(out, dtype=np.float64)
-
-    def features(self, raw: bytes) -> list[float]:
-        d = self.saved(raw)
-        n = len(d)
-        top = np.sort(d)[-2:]
-        five = float((d >= 5).sum())
-        return [
-            float(d.max()), float(top.sum()), float(np.log1p(np.clip(d, 0, None).sum())), float(d.sum() / n**0.5),
-            float(np.log1p((d >= 3).sum())), float(np.log1p(five)), float(np.log1p((d <= -3).sum())), float(np.log(n)),
-            50 * five / n, float(np.log1p((d >= 7).sum())),
-        ]
+        frame = {"write_content_size": False, "write_checksum": False, "write_dict_id": False}
+        params = zstandard.ZstdCompressionParameters.from_level(cfg.level, min_match=3, format=zstandard.FORMAT_ZSTD1_MAGICLESS, **frame)
+        self.pair = []
+        for content in (ordinary, toxic + ordinary):  # ordinary words cost the same with either
+            known = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            known.precompute_compress(compression_params=params)
+            self.pair.append(zstandard.ZstdCompressor(dict_data=known, compression_params=params))
+        self.cfg, self.carrier = cfg, ordinary[-cfg.carrier_bytes :]  # a start that both know, else short windows are stored as they are
+        self._segments = zstandard.BufferWithSegments
+
+    def windows(self, raw: bytes) -> list[bytes]:
+        words, step = words_of(raw), self.cfg.step_words
+        least = self.cfg.window_words - step  # a last window of words that the one before holds is left out
+        return [self.carrier + b" " + b" ".join(words[i : i + self.cfg.window_words]) + b" " for i in range(0, max(min(len(words), 1), len(words) - least), step)]
+
+    def saved(self, raws: list[bytes]) -> list[np.ndarray]:
+        """For each text the bytes saved on each of its windows."""
+        windows, counts = [], []
+        for raw in raws:
+            own = self.windows(raw)
+            windows += own
+            counts.append(len(own))
+        gains = np.zeros(len(windows))
+        for at in range(0, len(windows), _CALL):
+            some = windows[at : at + _CALL]
+            size = np.array([len(w) for w in some], dtype=np.int64)
+            end = np.cumsum(size)
+            buffer = self._segments(b"".join(some), np.c_[end - size, size].astype("<u8").tobytes())
+            ordinary, toxic = (np.array([len(x) for x in c.multi_compress_to_buffer(buffer)], dtype=np.int64) for c in self.pair)
+            gains[at : at + _CALL] = ordinary - toxic
+        return np.split(gains, np.cumsum(counts)[:-1]) if raws else []
+
+    def features(self, raws: list[bytes]) -> np.ndarray:
+        return np.array([_summary(g) for g in self.saved(raws)]).reshape(len(raws), _N_FEATURES)
+
+
+_N_FEATURES = 12
+
+
+def _summary(gains: np.ndarray) -> list[float]:
+    n = len(gains)
+    if not n:
+        return [0.0] * _N_FEATURES
+    top = np.sort(gains)[::-1][:3]
+    top = np.r_[top, np.full(3 - len(top), gains.min())]
+    above = [np.log1p((gains >= k).sum()) for k in (2, 3, 4, 5)]
+    return [*top, gains.mean(), gains.std(), np.log(n), np.clip(gains, 0, None).sum() / n**0.5, *above, np.log1p(100 * (gains >= 4).mean())]
 
 
 def _calibrate(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -144,22 +171,21 @@ def _calibrate(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -> tuple[np.nd
 
 
 def train(texts: list[tuple[bytes, int]], cfg: ToxicityConfig, shift: float = 0.0) -> ToxicityModel:
-    """Dictionaries from two thirds of the texts, calibrated on the third that they haven't seen.
+    """Dictionaries from most of the texts, calibrated on every ``calibrate_every``-th, which they haven't seen.
 
     ``shift`` (see ``sampling_shift``) turns the odds of the sample into those of all labels.
     """
     n_toxic = sum(y for _, y in texts)
     odds = n_toxic / max(1, len(texts) - n_toxic) * np.exp(shift)
     prior = float(odds / (1 + odds))
-    if n_toxic < 6 or len(texts) - n_toxic < 6:
-        return ToxicityModel(b"", b"", b"", None, None, None, min(prior, 0.49), cfg)
-    order = sorted(texts, key=lambda x: zlib.crc32(x[0], cfg.seed))
-    rest = [t for i, t in enumerate(order) if i % 3]
-    held = order[::3]
-    dictionaries = build_dictionaries(rest, cfg)
+    if n_toxic < 8 or len(texts) - n_toxic < 8:
+        return ToxicityModel(b"", b"", None, None, None, min(prior, 0.49), cfg)
+    order = sorted(texts, key=lambda x: (-x[1], zlib.crc32(x[0], cfg.seed), x[0]))  # both classes reach both parts
+    held = order[:: cfg.calibrate_every]
+    dictionaries = build_dictionaries([t for i, t in enumerate(order) if i % cfg.calibrate_every], cfg)
     meter = WindowMeter(*dictionaries, cfg)
     y = np.array([t[1] for t in held], dtype=np.float64)
-    w, mean, scale = _calibrate(np.array([meter.features(t[0]) for t in held]), y)
+    w, mean, scale = _calibrate(meter.features([t[0] for t in held]), y)
     w[0] += shift
     return ToxicityModel(*dictionaries, w, mean, scale, prior, cfg)
 
@@ -186,9 +212,10 @@ def training_rows(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = Toxi
     for label, n in ((1, cfg.n_toxic), (0, cfg.n_ordinary)):
         some = rows.where(F.col("toxic") == label).orderBy(rank, "doc_id").limit(n)
         picked = some if picked is None else picked.unionByName(some)
-    bound = cfg.n_toxic + cfg.n_ordinary  # the broadcast side has at most so many ids
-    found = prune(docs, "doc_id", "text").where("text is not null").join(F.broadcast(picked.dropDuplicates(["doc_id"])), "doc_id").select("text", "toxic", "doc_id")
-    return [(r["text"].encode(), int(r["toxic"])) for r in sorted(found.limit(2 * bound).collect(), key=lambda r: (r["doc_id"], r["text"]))]
+    picked = F.broadcast(picked.dropDuplicates(["doc_id"]))  # at most n_toxic + n_ordinary ids
+    found = prune(docs, "doc_id", "text").where(F.octet_length("text") <= cfg.max_bytes).join(picked, "doc_id")
+    found = found.groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))  # one text of a repeated doc_id
+    return [(r["text"].encode(), int(r["toxic"])) for r in sorted(found.collect(), key=lambda r: r["doc_id"])]
 
 
 def fit(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig()) -> ToxicityModel:
@@ -199,19 +226,19 @@ def fit(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig
 def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
     """``(id, keep.., score, predicted)`` of every whole text; ``score >= 0.5`` predicts label 1.
 
-    One row for each input row.  Null and empty texts are scored as texts without any window.  Without two
+    One row for each input row.  Null and empty texts are scored as texts without any window; the longest text is scored whole.  Without two
     classes to train on every row gets the same score below 0.5.
     """
     kinds = dict(docs.dtypes)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        meter = WindowMeter(model.toxic, model.ordinary, model.carrier, model.config) if model.weights is not None else None
+        meter = WindowMeter(model.toxic, model.ordinary, model.config) if model.weights is not None else None
         for part in chunks(batches, text_col):
             raws = text_bytes(part.column(part.schema.get_field_index(text_col)))
             if meter is None:
                 p = np.full(len(raws), model.prior)
             else:
-                x = np.array([meter.features(r) for r in raws])
+                x = meter.features(raws)
                 z = np.c_[np.ones(len(x)), (x - model.mean) / model.scale] @ model.weights
                 p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
             cols = [part.column(part.schema.get_field_index(c)) for c in (id_col, *keep)]
@@ -224,5 +251,3 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
 def classify(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig(), keep: tuple[str, ...] = ()) -> DataFrame:
     """Train on the bounded sample and score all documents."""
     return score(docs, fit(docs, labels, cfg), keep=keep)
-
-

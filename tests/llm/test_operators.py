@@ -320,6 +320,36 @@ def test_toxicity_calibrated_to_all_labels_when_both_caps_bind(spark):
     assert toxicity.sampling_shift(labels, toxicity.ToxicityConfig(n_toxic=10**6, n_ordinary=10**6)) == 0.0
 
 
+def test_toxicity_against_single_windows(spark, sf):
+    """Scores of whole texts from windows cut and compressed one by one."""
+    import zstandard
+
+    docs, labels = table(spark, "/root/testdata/sf0.01", "documents", "doc_id", "text"), table(spark, "/root/testdata/sf0.01", "labels", "doc_id", "toxic")
+    model = toxicity.fit(docs, labels)
+    cfg = model.config
+    params = zstandard.ZstdCompressionParameters.from_level(cfg.level, min_match=3, format=zstandard.FORMAT_ZSTD1_MAGICLESS, write_content_size=False, write_checksum=False, write_dict_id=False)
+
+    def size(content, window):
+        known = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        return len(zstandard.ZstdCompressor(dict_data=known, compression_params=params).compress(window))
+
+    some = table(spark, sf, "documents", "doc_id", "text").where("length(text) < 1500").limit(12)
+    for r in toxicity.score(some, model).join(some, "doc_id").collect():
+        w = re.findall(rb"[a-z\x80-\xff]+", (r["text"] or "").encode().lower())
+        spans = [w[i : i + 5] for i in range(0, len(w), 4) if i == 0 or i + 1 < len(w)]
+        gains = np.array([size(model.ordinary, x) - size(model.toxic + model.ordinary, x) for x in (model.ordinary[-48:] + b" " + b" ".join(s) + b" " for s in spans)])
+        x = (np.array(toxicity._summary(gains)) - model.mean) / model.scale
+        p = 1 / (1 + np.exp(-np.clip(model.weights[0] + x @ model.weights[1:], -30, 30)))
+        assert r["score"] == pytest.approx(p) and r["predicted"] == int(p >= 0.5)
+
+
+def test_toxicity_dictionaries_are_of_their_class():
+    rng = random.Random(8)
+    texts = [(words(rng, 60).encode(), 0) for _ in range(200)] + [((words(rng, 30) + " vile wretch " + words(rng, 30)).encode(), 1) for _ in range(60)]
+    model = toxicity.train(texts, toxicity.ToxicityConfig())
+    assert b"vile" in model.toxic and b"vile" not in model.ordinary and b"wretch" not in model.ordinary
+
+
 def test_toxicity_without_two_classes(spark, odd):
     empty = spark.createDataFrame([], "doc_id long, toxic int")
     assert toxicity.classify(odd, empty).where("predicted = 0").count() == odd.count()
