@@ -70,8 +70,8 @@ def word_starts(points: np.ndarray) -> np.ndarray:
     return np.flatnonzero(start)
 
 
-class BlockEncoder:
-    """Encodes batches; keeps the ids of words seen before, up to a bounded number of words."""
+class WordEncoder:
+    """Cuts texts into words and encodes single words; holds nothing but the vocabulary."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -81,10 +81,58 @@ class BlockEncoder:
         self.special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         if len(self.special) > 0x400:
             raise ValueError("more special tokens than stop points")
+        self.names = list(self.special)
         self.model = self.tokenizer.model
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # bytes that the byte alphabet shows as themselves
         hidden = [b for b in range(256) if b not in set(shown)]
         self.alphabet = {b: chr(b) for b in shown} | {b: chr(256 + i) for i, b in enumerate(hidden)}
+
+    def join(self, texts: list[str]) -> str:
+        """All texts in one string, special tokens as stop points of their own, each text ended by the stop point D800."""
+        joined = []
+        for t in texts:
+            for i, name in enumerate(self.names):
+                if name in t:
+                    t = t.replace(name, chr(0xD801 + i))
+            joined.append(t)
+        return "\ud800".join(joined) + "\ud800"
+
+    def ids_of(self, word: str) -> list[int]:
+        """Ids of one word of ``word_starts``; a stop point is its special token, or nothing at the end of a text."""
+        if 0xD800 <= ord(word[0]) < 0xDC00:
+            k = ord(word[0]) - 0xD801
+            return [self.special[self.names[k]]] if k >= 0 else []
+        return [x.id for x in self.model.tokenize(word.encode().decode("latin-1").translate(self.alphabet))]
+
+    def piece_list(self) -> list[bytes]:
+        """Bytes of each id; ids without a piece have none."""
+        back = {c: b for b, c in self.alphabet.items()}
+        named = {i: name for name, i in self.special.items()}
+        size = max([self.tokenizer.get_vocab_size(with_added_tokens=True), *(i + 1 for i in named)])
+        return [named[i].encode() if i in named else bytes(back[c] for c in self.tokenizer.id_to_token(i) or "") for i in range(size)]
+
+
+def word_keys(points: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """64-bit hash of the code points of each word."""
+    keys = np.empty(len(lo), dtype=np.uint64)
+    at = 0
+    while at < len(lo):  # the power tables stay small whatever the batch holds
+        to = max(at + 1, int(np.searchsorted(hi, lo[at] + (1 << 20) - 8, side="right")))
+        a = int(lo[at])
+        keys[at:to] = range_hash(points[a : int(hi[to - 1])].astype(np.uint64) + np.uint64(1), lo[at:to] - a, hi[at:to] - a)
+        at = to
+    return keys
+
+
+def points_of(whole: str) -> np.ndarray:
+    return np.frombuffer(whole.encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
+
+
+class BlockEncoder(WordEncoder):
+    """Encodes batches; keeps the ids of words seen before, up to a bounded number of words."""
+
+    def __init__(self, path: str):
+        super().__init__(path)
         self._reset()
         self._pieces: tuple[np.ndarray, np.ndarray] | None = None
 
@@ -108,39 +156,20 @@ class BlockEncoder:
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """All ids of all texts in order, and how many ids each text has."""
-        names = list(self.special)
-        joined = []
-        for t in texts:
-            for i, name in enumerate(names):
-                if name in t:
-                    t = t.replace(name, chr(0xD801 + i))
-            joined.append(t)
-        whole = "\ud800".join(joined) + "\ud800"
-        points = np.frombuffer(whole.encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
+        whole = self.join(texts)
+        points = points_of(whole)
         lo = word_starts(points)
         hi = np.append(lo[1:], len(points))
-        keys = np.empty(len(lo), dtype=np.uint64)
-        at = 0
-        while at < len(lo):
-            to = max(at + 1, int(np.searchsorted(hi, lo[at] + (1 << 20) - 8, side="right")))
-            a = int(lo[at])
-            keys[at:to] = range_hash(points[a : int(hi[to - 1])].astype(np.uint64) + np.uint64(1), lo[at:to] - a, hi[at:to] - a)
-            at = to
+        keys = word_keys(points, lo, hi)
         distinct, first, inverse = np.unique(keys, return_index=True, return_inverse=True)
         if self.n > _CACHE_WORDS:
             self._reset()
-        get, tokenize, alphabet = self.index.get, self.model.tokenize, self.alphabet
+        get = self.index.get
         rows = np.empty(len(distinct), dtype=np.int64)
         for j, (key, f) in enumerate(zip(distinct.tolist(), first.tolist(), strict=True)):
             i = get(key)
             if i is None:
-                word = whole[lo[f] : hi[f]]
-                if 0xD800 <= ord(word[0]) < 0xDC00:
-                    k = ord(word[0]) - 0xD801
-                    i = self._add(key, [self.special[names[k]]] if k >= 0 else [])
-                else:
-                    shown = word.encode().decode("latin-1").translate(alphabet)
-                    i = self._add(key, [x.id for x in tokenize(shown)])
+                i = self._add(key, self.ids_of(whole[lo[f] : hi[f]]))
             rows[j] = i
         ids, lens = ragged_take(self.flat, self.offs[: self.n + 1], rows[inverse.ravel()])
         ends = np.cumsum(lens)
@@ -151,14 +180,8 @@ class BlockEncoder:
     def pieces(self) -> tuple[np.ndarray, np.ndarray]:
         """The id-to-piece table: bytes of all pieces and their offsets, by id."""
         if self._pieces is None:
-            back = {c: b for b, c in self.alphabet.items()}
-            size = self.tokenizer.get_vocab_size(with_added_tokens=True)
-            named = {i: name for name, i in self.special.items()}
-            parts = []
-            for i in range(size):
-                piece = named.get(i) or self.tokenizer.id_to_token(i) or ""
-                parts.append(piece.encode() if i in named else bytes(back[c] for c in piece))
-            offs = np.zeros(size + 1, dtype=np.int64)
+            parts = self.piece_list()
+            offs = np.zeros(len(parts) + 1, dtype=np.int64)
             np.cumsum([len(p) for p in parts], out=offs[1:])
             self._pieces = np.frombuffer(b"".join(parts), dtype=np.uint8), offs
         return self._pieces
@@ -177,6 +200,16 @@ class BlockEncoder:
         return [raw[a:b].decode("utf-8", "replace").encode() for a, b in zip(edges[:-1], edges[1:], strict=True)]
 
 
+_plain: dict[str, WordEncoder] = {}
+
+
+def word_encoder(path: str) -> WordEncoder:
+    """One a worker process and vocabulary file; its size is that of the vocabulary."""
+    if path not in _plain:
+        _plain[path] = WordEncoder(path)
+    return _plain[path]
+
+
 def block_encoder(path: str) -> BlockEncoder:
     """One encoder a worker process and vocabulary file."""
     if path not in _encoders:

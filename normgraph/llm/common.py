@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -14,6 +16,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 CHUNK_BYTES = 2 << 20
+BATCH_BYTES = 4 << 20
+_BATCH_SETTING = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
@@ -80,6 +84,13 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _trim() -> None:
+    """Give memory that a task no longer needs back to the system: Spark keeps its Python workers."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def text_bytes(col: pa.ChunkedArray | pa.Array) -> list[bytes]:
     """UTF-8 bytes of a string column; null becomes empty."""
     return [x or b"" for x in col.cast(pa.binary()).to_pylist()]
@@ -98,6 +109,7 @@ def chunks(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int =
         for a, b in zip(edges[:-1], edges[1:], strict=True):
             if b > a:
                 yield batch.slice(a, b - a)
+    _trim()
 
 
 def runs_of(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterator[pa.Table]:
@@ -139,5 +151,11 @@ def ragged_take(flat: np.ndarray, offs: np.ndarray, which: np.ndarray) -> tuple[
 
 
 def prune(df: DataFrame, *cols: str) -> DataFrame:
-    """Only the named columns, in this order; extra and clashing columns of the caller never reach an operator."""
+    """Only the named columns, in this order; extra and clashing columns of the caller never reach an operator.
+
+    Python workers get their rows in batches of about ``BATCH_BYTES``, so that long texts don't add up in memory.
+    """
+    conf = df.sparkSession.conf
+    if conf.get(_BATCH_SETTING, None) != str(BATCH_BYTES):
+        conf.set(_BATCH_SETTING, str(BATCH_BYTES))
     return df.select(*[F.col(f"`{c}`") for c in cols])

@@ -1,25 +1,30 @@
 """Byte-pair encoding and decoding through a distinct-word table.
 
-A task cuts its texts into words, encodes each distinct word once, and puts the ids back at the words'
-positions; decoding gathers the bytes of each id from the id-to-piece table.  The table of distinct words is
-kept for each worker, so nothing is shuffled: an exchange of word occurrences would move several times the
-text (see README).
+Words are split in Spark and counted; each distinct word is encoded once, and its ids are turned back into bytes by a
+join with the id-to-piece table.  Documents then take ids and bytes from that table by position.  The commonest
+words, up to ``HEAD_BYTES``, are broadcast; the rest come to the blocks of documents that need them through a
+join on the word, so no task ever holds the whole table.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from normgraph.llm.bpe import block_encoder
-from normgraph.llm.common import chunks, prune, text_bytes
+from normgraph.llm.bpe import points_of, word_encoder, word_keys, word_starts
+from normgraph.llm.common import Workspace, chunks, materialise, prune, ragged_take, runs_of, text_bytes
 
 VOCABULARY = "byte_bpe_50k.json"
+#: Bytes of the common words that each worker gets; words beyond are joined.
+HEAD_BYTES = 16 << 20
+_WORD = "word string, n bigint, key bigint, ids array<int>, piece binary"
 
 
 def vocabulary_path(name: str = VOCABULARY) -> str:
@@ -33,66 +38,276 @@ def _texts(part: pa.RecordBatch, column: int = 1) -> list[str]:
     return [x or "" for x in part.column(column).to_pylist()]
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
+@dataclass
+class Words:
+    """The words of some texts, without the ends of texts: distinct ones, and where each stands."""
+
+    keys: np.ndarray  # of the distinct words, ascending
+    first: np.ndarray  # a place of each distinct word
+    count: np.ndarray
+    inverse: np.ndarray  # distinct word of each word
+    text: np.ndarray  # text of each word
+    lo: np.ndarray
+    hi: np.ndarray
+    whole: str
+
+    def __getitem__(self, j: int) -> str:
+        f = self.first[j]
+        return self.whole[self.lo[f] : self.hi[f]]
+
+
+def split_words(texts: list[str], path: str) -> Words:
+    whole = word_encoder(path).join(texts)
+    points = points_of(whole)
+    lo = word_starts(points)
+    hi = np.append(lo[1:], len(points))
+    ends = points[lo] == 0xD800
+    text = (np.cumsum(ends) - ends)[~ends]
+    lo, hi = lo[~ends], hi[~ends]
+    keys, first, inverse, count = np.unique(word_keys(points, lo, hi), return_index=True, return_inverse=True, return_counts=True)
+    return Words(keys, first, count, inverse.ravel(), text, lo, hi, whole)
+
+
+def _shown(word: str, names: list[str]) -> str:
+    """A special token's name in place of its stop point."""
+    return names[ord(word[0]) - 0xD801] if 0xD801 <= ord(word[0]) < 0xDC00 else word
+
+
+def distinct_words(docs: DataFrame, id_col: str, text_col: str, path: str) -> DataFrame:
+    """``(word, n)``: every distinct word and how often it stands in all texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = word_encoder(path).names
+        for part in chunks(batches, text_col):
+            words = split_words(_texts(part), path)
+            yield pa.RecordBatch.from_arrays([pa.array([_shown(words[j], names) for j in range(len(words.keys))], pa.string()), pa.array(words.count.astype(np.int64))], names=["word", "n"])
+
+    return prune(docs, id_col, text_col).mapInArrow(run, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+
+
+def pieces(spark: SparkSession, path: str) -> DataFrame:
+    """The id-to-piece table ``(id, piece)``, as large as the vocabulary."""
+    rows = [(i, bytearray(p)) for i, p in enumerate(word_encoder(path).piece_list())]
+    return spark.createDataFrame(rows, "id int, piece binary")
+
+
+def word_table(words: DataFrame, path: str) -> DataFrame:
+    """``(word, n, key, ids, piece)``: ids of each distinct word, and its bytes by a join of the ids with ``pieces``."""
+
+    def encode_each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enc = word_encoder(path)
+        stops = {name: chr(0xD801 + i) for i, name in enumerate(enc.names)}
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            inner = [stops.get(w, w) for w in batch.column(0).to_pylist()]
+            size = np.array([len(w) for w in inner], dtype=np.int64)
+            end = np.cumsum(size)
+            keys = word_keys(points_of("".join(inner)), end - size, end)
+            ids = pa.array([enc.ids_of(w) for w in inner], pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(keys.view(np.int64)), ids], names=["word", "n", "key", "ids"])
+
+    encoded = words.mapInArrow(encode_each, "word string, n bigint, key bigint, ids array<int>")
+    each = encoded.select("*", F.posexplode_outer("ids").alias("at", "id"))
+    each = each.join(F.broadcast(pieces(words.sparkSession, path)), "id", "left").select("word", "n", "key", "ids", "at", "piece")
+
+    def put_together(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """The rows of a word follow each other in their order: the join is by broadcast, and nothing is exchanged."""
+        head: list = []
+        parts: list[bytes] = []
+        for batch in batches:
+            out: list[list] = []
+            for word, n, key, ids, at, piece in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if not at:
+                    if head:
+                        out.append([*head, b"".join(parts)])
+                    head, parts = [word, n, key, ids], []
+                parts.append(piece or b"")
+            if out:
+                yield _rows(out)
+        if head:
+            yield _rows([[*head, b"".join(parts)]])
+
+    return each.mapInArrow(put_together, _WORD)
+
+
+def _rows(rows: list[list]) -> pa.RecordBatch:
+    kinds = [pa.string(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary()]
+    return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["word", "n", "key", "ids", "piece"])
+
+
+class Lexicon:
+    """Ids and bytes of some words by key, for many words at once."""
+
+    def __init__(self, key: np.ndarray, ids: pa.ListArray, piece: pa.BinaryArray):
+        order = np.argsort(key, kind="stable")
+        self.keys = key[order]
+        ids, piece = ids.take(pa.array(order)), piece.take(pa.array(order))
+        self.ids, self.id_offs = ids.flatten().to_numpy(zero_copy_only=False).astype(np.uint32), ids.offsets.to_numpy().astype(np.int64) - ids.offsets[0].as_py()
+        size = pc.binary_length(piece).to_numpy(zero_copy_only=False).astype(np.int64)
+        self.bytes = np.frombuffer(b"".join(piece.to_pylist()), dtype=np.uint8)
+        self.byte_offs = np.concatenate([[0], np.cumsum(size)])
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Row of each key, -1 for those that aren't here."""
+        if not len(self.keys):
+            return np.full(len(keys), -1, dtype=np.int64)
+        at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return np.where(self.keys[at] == keys, at, -1)
+
+    @staticmethod
+    def of(table: pa.Table) -> Lexicon:
+        """From columns key, ids, piece."""
+        table = table.combine_chunks()
+        one = lambda c, kind: table.column(c).chunk(0) if table.num_rows else pa.array([], kind)
+        return Lexicon(one("key", pa.int64()).to_numpy().view(np.uint64), one("ids", pa.list_(pa.int32())), one("piece", pa.binary()))
+
+
+def common_words(table: DataFrame, max_bytes: int) -> tuple[Lexicon, int | None]:
+    """The commonest words of ``word_table`` that fit ``max_bytes``, and the class of frequency from which on they are whole."""
+    size = F.lit(24) + 4 * F.size("ids") + F.octet_length("piece")
+    cls = F.floor(F.log2("n") * 16).cast("int")
+    classes = table.groupBy(cls.alias("c")).agg(F.sum(size).alias("bytes")).orderBy(F.desc("c")).collect()  # some thousand at most
+    total, least = 0, None
+    for r in classes:
+        total += r["bytes"]
+        if total > max_bytes:
+            break
+        least = r["c"]
+    chosen = table.where(cls >= least) if least is not None else table.limit(0)
+    return Lexicon.of(chosen.select("key", "ids", "piece").toArrow()), least
+
+
+def _packed(part: pa.RecordBatch) -> tuple[int, bytes]:
+    """A block of documents as compressed bytes, and an id that follows from its contents."""
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, part.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as writer:
+        writer.write_batch(part)
+    raw = sink.getvalue().to_pybytes()
+    return int.from_bytes(hashlib.blake2b(raw, digest_size=8).digest(), "little", signed=True), raw
+
+
+Emit = Callable[[pa.RecordBatch, np.ndarray, np.ndarray, np.ndarray, np.ndarray], pa.RecordBatch]
+
+
+def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit: Emit, schema: str, head_bytes: int) -> DataFrame:
+    """``emit(block, ids, ids of each text, bytes, bytes of each text)`` for every block of documents."""
+    spark, docs = docs.sparkSession, prune(docs, id_col, text_col)
+    table = materialise(word_table(distinct_words(docs, id_col, text_col, path), path), "words")
+    lexicon, _ = common_words(table, head_bytes)
+    shared = spark.sparkContext.broadcast(lexicon)
+
+    def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, head = word_encoder(path).names, shared.value
+        for part in chunks(batches, text_col):
+            block, _ = _packed(part)
+            words = split_words(_texts(part), path)
+            some = [_shown(words[j], names) for j in np.flatnonzero(head.find(words.keys) < 0).tolist()]
+            if some:
+                yield pa.RecordBatch.from_arrays([pa.array([block] * len(some), pa.int64()), pa.array(some, pa.string())], names=["block", "word"])
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in chunks(batches, text_col):
+            block, raw = _packed(part)
+            yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([raw], pa.binary())], names=["block", "raw"])
+
+    needed = docs.mapInArrow(rare, "block bigint, word string").distinct().join(table.select("word", "key", "ids", "piece"), "word")
+    needed = needed.groupBy("block").agg(F.collect_list(F.struct("key", "ids", "piece")).alias("found"))  # as many as one block has
+    blocks = docs.mapInArrow(pack, "block bigint, raw binary").join(needed, "block", "left").select("raw", "found")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        head = shared.value
+        for batch in batches:
+            for row in range(batch.num_rows):
+                found = batch.column(1).slice(row, 1).flatten()
+                tail = Lexicon(found.field("key").to_numpy().view(np.uint64), found.field("ids"), found.field("piece"))
+                for part in pa.ipc.open_stream(batch.column(0)[row].as_py()):
+                    yield emit(part, *_assemble(split_words(_texts(part), path), part.num_rows, (head, tail), path))
+
+    return blocks.mapInArrow(run, schema)
+
+
+def _assemble(words: Words, n_texts: int, lexicons: tuple[Lexicon, ...], path: str) -> tuple[np.ndarray, ...]:
+    """Ids and bytes of all words in order, by position, and how many each text has."""
+    slot = np.full(len(words.keys), -1, dtype=np.int64)
+    parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
+    used = 0
+    for lexicon in lexicons:
+        at = lexicon.find(words.keys)
+        new = np.flatnonzero((slot < 0) & (at >= 0))
+        slot[new] = used + np.arange(len(new))
+        used += len(new)
+        parts.append((*ragged_take(lexicon.ids, lexicon.id_offs, at[new]), *ragged_take(lexicon.bytes, lexicon.byte_offs, at[new])))
+    for j in np.flatnonzero(slot < 0).tolist():  # only if a recomputed task cut its blocks in another way
+        enc = word_encoder(path)
+        ids = np.array(enc.ids_of(words[j]), dtype=np.uint32)
+        raw = np.frombuffer(_shown(words[j], enc.names).encode(), dtype=np.uint8)
+        slot[j], used = used, used + 1
+        parts.append((ids, np.array([len(ids)]), raw, np.array([len(raw)])))
+    where = slot[words.inverse]
+    out: list[np.ndarray] = []
+    for k in (0, 2):
+        flat = np.concatenate([p[k] for p in parts])
+        offs = np.concatenate([[0], np.cumsum(np.concatenate([p[k + 1] for p in parts]))]).astype(np.int64)
+        values, lens = ragged_take(flat, offs, where)
+        out += [values, np.bincount(words.text, weights=lens, minlength=n_texts).astype(np.int64)]
+    return tuple(out)
+
+
+def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, head_bytes: int = HEAD_BYTES) -> DataFrame:
     """``(id, ids array<int>)`` of every whole text, as the tokenizers library encodes it.
 
-    One row for each input row.  Null and empty texts have an empty array.  Extra columns are dropped.
+    One row for each input row.  Null and empty texts have an empty array.  Extra columns are dropped.  The word
+    table stays in the shared folder until the session ends.
     """
-    path = path or vocabulary_path()
     kind = dict(docs.dtypes)[id_col]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = block_encoder(path)
-        for part in chunks(batches, text_col):
-            ids, counts = enc.encode(_texts(part))
-            offs = np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(offs), pa.array(ids.astype(np.int32)))], names=[id_col, "ids"])
+    def emit(part: pa.RecordBatch, ids: np.ndarray, counts: np.ndarray, *_: np.ndarray) -> pa.RecordBatch:
+        offs = np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)
+        return pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(offs), pa.array(ids.astype(np.int32)))], names=[id_col, "ids"])
 
-    return prune(docs, id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, ids array<int>")
+    return _through_words(docs, id_col, text_col, path or vocabulary_path(), emit, f"`{id_col}` {kind}, ids array<int>", head_bytes)
 
 
 def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", path: str | None = None) -> DataFrame:
-    """``(id, text)`` from arrays of ids by a gather from the id-to-piece table.
+    """``(id, text)`` from arrays of ids by a join of the ids with the id-to-piece table.
 
-    A null array gives an empty text; ids outside the vocabulary add nothing; broken UTF-8 becomes U+FFFD,
-    as in the library's decode with ``skip_special_tokens=False``.
+    A null array gives an empty text; ids outside the vocabulary and null ids add nothing; broken UTF-8 becomes
+    U+FFFD, as in the library's decode with ``skip_special_tokens=False``.  One row for each input row.
     """
     path = path or vocabulary_path()
     kind = dict(encoded.dtypes)[id_col]
+    named = prune(encoded, id_col, ids_col).toDF("own", "ids").withColumn("row", F.monotonically_increasing_id())
+    each = named.select("own", "row", F.posexplode_outer("ids").alias("at", "id"))
+    each = each.join(F.broadcast(pieces(encoded.sparkSession, path)), "id", "left").select("own", "row", "piece")  # rows keep their order
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = block_encoder(path)
-        for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                col = part.column(1).fill_null([])
-                counts = pc.list_value_length(col).to_numpy(zero_copy_only=False).astype(np.int64)
-                flat = col.flatten().fill_null(-1).to_numpy(zero_copy_only=False).astype(np.uint32)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([t.decode() for t in enc.decode(flat, counts)], pa.string())], names=[id_col, "text"])
+        for rows in runs_of(batches, ("row",)):
+            raw = b"".join(x or b"" for x in rows.column("piece").to_pylist())
+            yield pa.RecordBatch.from_arrays([rows.column("own").slice(0, 1).combine_chunks(), pa.array([raw.decode("utf-8", "replace")], pa.string())], names=[id_col, "text"])
 
-    return prune(encoded, id_col, ids_col).mapInArrow(run, f"`{id_col}` {kind}, text string")
+    return each.mapInArrow(run, f"`{id_col}` {kind}, text string")
 
 
-def round_trip(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
-    """``(id, n_tokens, ids_sha256, decoded_sha256)``: encode, then decode the ids, in one pass over the texts.
+def round_trip(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, head_bytes: int = HEAD_BYTES) -> DataFrame:
+    """``(id, n_tokens, ids_sha256, decoded_sha256)``: ids by the word table, text from the pieces of these ids.
 
     Hashes are lower-case hex: of the ids as little-endian unsigned 32-bit integers, and of the decoded text
     in UTF-8.  Null and empty texts have no ids and the hash of nothing.  One row for each input row.
     """
-    path = path or vocabulary_path()
     kind = dict(docs.dtypes)[id_col]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = block_encoder(path)
-        for part in chunks(batches, text_col):
-            ids, counts = enc.encode(_texts(part))
-            raw = ids.astype("<u4").tobytes()
-            edges = np.concatenate([[0], np.cumsum(counts)]).tolist()
-            digests = [hashlib.sha256(raw[4 * a : 4 * b]).hexdigest() for a, b in zip(edges[:-1], edges[1:], strict=True)]
-            decoded = [hashlib.sha256(t).hexdigest() for t in enc.decode(ids, counts)]
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(counts, pa.int64()), pa.array(digests, pa.string()), pa.array(decoded, pa.string())], names=[id_col, "n_tokens", "ids_sha256", "decoded_sha256"])
+    def emit(part: pa.RecordBatch, ids: np.ndarray, counts: np.ndarray, raw: np.ndarray, sizes: np.ndarray) -> pa.RecordBatch:
+        digests = []
+        for data, ends in ((ids.astype("<u4").tobytes(), 4 * np.cumsum(counts)), (raw.tobytes(), np.cumsum(sizes))):
+            digests.append([data[a:b] for a, b in zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True)])
+        tokens = [hashlib.sha256(x).hexdigest() for x in digests[0]]
+        decoded = [hashlib.sha256(x.decode("utf-8", "replace").encode()).hexdigest() for x in digests[1]]
+        return pa.RecordBatch.from_arrays([part.column(0), pa.array(counts, pa.int64()), pa.array(tokens, pa.string()), pa.array(decoded, pa.string())], names=[id_col, "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return prune(docs, id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+    schema = f"`{id_col}` {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string"
+    with Workspace() as space:
+        return space.result(_through_words(docs, id_col, text_col, path or vocabulary_path(), emit, schema, head_bytes), "round-trip")
 
 
-__all__ = ["VOCABULARY", "decode", "encode", "round_trip", "text_bytes", "vocabulary_path"]
+__all__ = ["VOCABULARY", "common_words", "decode", "distinct_words", "encode", "pieces", "round_trip", "text_bytes", "vocabulary_path", "word_table"]

@@ -476,3 +476,22 @@ def test_odd_sketches_never_overstate_the_difference():
         b = np.unique(np.concatenate([a[: n // 2], rng.integers(0, 2**63, n, dtype=np.uint64)]))
         x, y = (np.frombuffer(minhash.odd_sketch(v), dtype=np.uint64) for v in (a, b))
         assert int(np.bitwise_count(x ^ y).sum()) <= len(np.setxor1d(a, b))
+
+
+@pytest.mark.parametrize("head", [0, 3000])
+def test_encoding_of_words_that_are_not_broadcast(spark, sf, odd, head):
+    """With no or a tiny table of common words all others come through the join; results are the same."""
+    d = table(spark, sf, "documents", "doc_id", "text").limit(60).unionByName(odd.select("doc_id", "text"))
+    want = sorted(encoding.round_trip(d).collect(), key=str)
+    assert sorted(encoding.round_trip(d, head_bytes=head).collect(), key=str) == want
+    ids = {(r["doc_id"], str(r["ids"])) for r in encoding.encode(d, head_bytes=head).collect()}
+    assert ids == {(r["doc_id"], str(r["ids"])) for r in encoding.encode(d).collect()}
+
+
+def test_decode_through_the_piece_table(spark):
+    enc = block_encoder(encoding.vocabulary_path())
+    rows = [(1, None), (2, []), (3, [10**6, 5, None]), (4, enc.tokenizer.encode("né <|endoftext|> 中文", add_special_tokens=False).ids), (4, [enc.tokenizer.encode("中", add_special_tokens=False).ids[0]])]
+    d = spark.createDataFrame(rows, "doc_id long, ids array<int>")
+    got = sorted((r["doc_id"], r["text"]) for r in encoding.decode(d).collect())
+    assert got == sorted((i, enc.tokenizer.decode([x for x in ids or [] if x is not None and x < 10**5], skip_special_tokens=False)) for i, ids in rows)
+    assert encoding.decode(d.limit(0)).count() == 0
