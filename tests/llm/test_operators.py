@@ -495,3 +495,44 @@ def test_decode_through_the_piece_table(spark):
     got = sorted((r["doc_id"], r["text"]) for r in encoding.decode(d).collect())
     assert got == sorted((i, enc.tokenizer.decode([x for x in ids or [] if x is not None and x < 10**5], skip_special_tokens=False)) for i, ids in rows)
     assert encoding.decode(d.limit(0)).count() == 0
+
+
+def test_leaks_with_swapped_halves_and_altered_ends(spark):
+    """Windows far from where the shared shingles stand in the item, and pairs close to the similarity; every block size."""
+    rng = random.Random(18)
+    items = [(i, words(rng, n)) for i, n in enumerate([60] * 6 + [40] * 20)]
+    rows = []
+    for i, text in items:
+        w = text.split()
+        half = len(w) // 2
+        rows.append((i, " ".join([words(rng, 7), *w[half:], *w[:half], words(rng, 9)])))
+        for cut in (2, 3, 4, 5):
+            rows.append((100 * cut + i, " ".join([words(rng, 5), *w[:-cut], *words(rng, cut).split(), words(rng, 6)])))
+            rows.append((1000 * cut + i, " ".join([words(rng, 5), *words(rng, cut).split(), *w[cut:]])))
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    want = brute_leaks(rows, items)
+    assert {(i, i) for i in range(6)} <= want
+    for size in (decontaminate.MAX_ITEM_BYTES, 3000):
+        assert {(r["doc_id"], r["item_id"]) for r in decontaminate.find_leaks(frame(spark, rows, True), bench, max_item_bytes=size).collect()} == want
+
+
+def test_multi_index_finds_every_print_in_the_radius():
+    rng = np.random.default_rng(3)
+    items = [(i, " ".join(f"w{rng.integers(0, 10**6)}" for _ in range(20)).encode()) for i in range(300)]
+    index = decontaminate.ItemIndex(items, decontaminate.DecontaminationConfig())
+    for _ in range(300):
+        mark = np.unpackbits(index.prints[rng.integers(0, 300)])
+        flip = rng.choice(128, rng.integers(0, 60), replace=False)
+        mark[flip] ^= 1
+        mark = np.packbits(mark)
+        far = np.bitwise_count(index.prints ^ mark).sum(1)
+        assert index.near(mark) == np.flatnonzero(far <= decontaminate.RADIUS).tolist()
+
+
+def test_leaks_of_any_id_type_and_clashing_columns(spark):
+    text = words(random.Random(2), 40)
+    docs = spark.createDataFrame([("a", text, 1), ("b", "x", 2), (None, text, 3)], "doc_id string, text string, item_id int")
+    bench = spark.createDataFrame([(7.5, text), (1.0, None)], "item_id double, text string")
+    assert sorted((r["doc_id"] or "", r["item_id"]) for r in decontaminate.find_leaks(docs, bench).collect()) == [("", 7.5), ("a", 7.5)]
+    assert sorted(r["item_id"] for r in decontaminate.remove_leaks(docs, bench).collect()) == [2, 3]
+    assert decontaminate.find_leaks(docs, bench.limit(0)).count() == 0 == decontaminate.find_leaks(docs.limit(0), bench).count()
