@@ -1,10 +1,11 @@
 """Repeated passages by a sparse suffix array over words.
 
 Suffixes are kept at content-selected positions only: the minimiser of every window of ``window`` k-word hashes,
-so that two copies of a passage of ``words`` words keep at least one common suffix.  The suffixes are sorted
-(by key, then place) over range partitions and compared with their neighbours; those that agree with one are
-then extended to the left and to the right: around them every window of ``words`` words is hashed, and
-equal windows are the repeats.  Overlapping windows merge into spans.
+so that two copies of a passage of ``words`` words keep at least one common suffix.  A suffix is a string of word
+symbols (four bits of each word's hash); the suffixes are sorted over range partitions and compared with their
+neighbours, which gives how far each can be extended to the right, and, sorted again within equal beginnings by what
+stands before them, to the left.  Only windows of ``words`` words that these bounds admit are taken from the texts,
+and compared by a 128-bit hash of their words.  Overlapping repeated windows merge into spans.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from normgraph.llm.common import Workspace, chunks, materialise, prune, text_bytes
-from normgraph.llm.wordhash import as_long, grams, hash_words, range_hash
+from normgraph.llm.wordhash import as_long, grams, hash_words, mix, range_hash
 
 
 @dataclass(frozen=True)
@@ -52,107 +53,158 @@ def minimisers(g: np.ndarray, window: int) -> np.ndarray:
     return np.unique(np.where(b < a, at[rest : rest + n], at[:n]))
 
 
+def symbols(h: np.ndarray, at: np.ndarray, n: int, step: int) -> np.ndarray:
+    """Packed symbols of ``n`` words from each place on, to the right (``step`` 1) or to the left (-1); none beyond the text."""
+    own = (h & np.uint64(15)).astype(np.uint8)
+    where = at[:, None] + step * np.arange(n + n % 2)[None, :]
+    inside = (where >= 0) & (where < len(h))
+    found = np.where(inside, own[np.clip(where, 0, max(0, len(h) - 1))], 0)
+    return found[:, 0::2] << 4 | found[:, 1::2]
+
+
+def _binary(rows: np.ndarray) -> pa.Array:
+    n, width = rows.shape
+    offs = pa.py_buffer((np.arange(n + 1, dtype=np.int32) * width).tobytes())
+    return pa.BinaryArray.from_buffers(pa.binary(), n, [None, offs, pa.py_buffer(np.ascontiguousarray(rows).tobytes())])
+
+
+def _matrix(col: pa.Array) -> np.ndarray:
+    """Symbols of a column of packed symbols of one length, one row each."""
+    rows = np.frombuffer(b"".join(col.to_pylist()), dtype=np.uint8).reshape(len(col), -1)
+    return np.stack([rows >> 4, rows & 15], axis=2).reshape(len(rows), -1)
+
+
 def anchors(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
-    """``(key, doc_id, pos)``: the retained suffixes of every document."""
+    """``(suffix, before, doc_id, pos)``: the retained suffixes of every document, and what stands before them."""
     kind = dict(docs.dtypes)["doc_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in chunks(batches, "text"):
             words = hash_words(text_bytes(part.column(1)))
             g = grams(words.h, cfg.key_words)
-            rows, keys, places = [], [], []
+            rows, right, left, places = [], [], [], []
             for r, (a, b) in enumerate(zip(words.first[:-1].tolist(), words.first[1:].tolist(), strict=True)):
                 if b - a < cfg.words:
                     continue
-                own = g[a : b - cfg.key_words + 1]
-                at = minimisers(own, cfg.window)
+                at = minimisers(g[a : b - cfg.key_words + 1], cfg.window)
                 rows.append(np.full(len(at), r))
-                keys.append(own[at])
+                right.append(symbols(words.h[a:b], at, cfg.words, 1))
+                left.append(symbols(words.h[a:b], at - 1, cfg.words - cfg.key_words, -1))
                 places.append(at)
             if rows:
-                row = np.concatenate(rows)
-                yield pa.RecordBatch.from_arrays([pa.array(as_long(np.concatenate(keys))), part.column(0).take(pa.array(row)), pa.array(np.concatenate(places).astype(np.int32))], names=["key", "doc_id", "pos"])
+                cols = [_binary(np.concatenate(right)), _binary(np.concatenate(left)), part.column(0).take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(places).astype(np.int32))]
+                yield pa.RecordBatch.from_arrays(cols, names=["suffix", "before", "doc_id", "pos"])
 
-    return prune(docs, "doc_id", "text").where("doc_id is not null").mapInArrow(run, f"key bigint, doc_id {kind}, pos int")
+    return prune(docs, "doc_id", "text").where("doc_id is not null").mapInArrow(run, f"suffix binary, before binary, doc_id {kind}, pos int")
 
 
-def agreeing(suffixes: DataFrame) -> DataFrame:
-    """``(doc_id, pos)`` of the sorted suffixes that agree with a neighbour in the key.
+def _with_neighbours(ordered: DataFrame, column: str, within: int, schema: str, names: list[str], reach: str, least: int) -> DataFrame:
+    """Rows of a sorted frame with ``reach``: the symbols of ``column`` that a row shares with one of its neighbours.
 
-    Range partitions on (key, doc_id, pos) split even one very frequent key over many tasks.  The first and the
-    last suffix of a partition may have their neighbour in another one; they are kept, which the extension sorts out.
+    ``within`` first bytes of ``suffix`` must be equal.  Rows that share less than ``least`` go.  The first and the
+    last row of a partition may have their neighbour in another one; they count as sharing everything.
     """
-    kind = dict(suffixes.dtypes)["doc_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.RecordBatch | None = None  # the last row, until its right neighbour is known
-        held_same = True
+        held_reach = 0
+
+        def put(batch: pa.RecordBatch, found: np.ndarray) -> Iterator[pa.RecordBatch]:
+            keep = pa.array(found >= least)
+            out = pa.RecordBatch.from_arrays([*(batch.column(batch.schema.get_field_index(c)) for c in names), pa.array(found.astype(np.int32))], names=[*names, reach]).filter(keep)
+            if out.num_rows:
+                yield out
+
         for batch in batches:
             if not batch.num_rows:
                 continue
-            key = batch.column(0).to_numpy()
-            same = np.zeros(len(key) + 1, dtype=bool)
-            same[1:-1] = key[1:] == key[:-1]
-            if held is None:
-                same[0] = True  # a partition's first row
-            else:
-                same[0] = held.column(0)[0].as_py() == key[0]
-                if held_same or same[0]:
-                    yield held.select(["doc_id", "pos"])
-            good = same[:-1] | same[1:]
-            body = batch.slice(0, batch.num_rows - 1).filter(pa.array(good[:-1]))
-            if body.num_rows:
-                yield body.select(["doc_id", "pos"])
-            held, held_same = batch.slice(batch.num_rows - 1, 1), bool(same[-2])
+            both = batch if held is None else pa.Table.from_batches([held, batch]).combine_chunks().to_batches()[0]
+            own = _matrix(both.column(both.schema.get_field_index(column)))
+            same = np.cumprod(own[1:] == own[:-1], axis=1, dtype=np.int64).sum(1)
+            if within:
+                key = _matrix(both.column(both.schema.get_field_index("suffix")))[:, : 2 * within]
+                same = np.where((key[1:] == key[:-1]).all(1), same, 0)
+            first = own.shape[1] if held is None else held_reach
+            left = np.concatenate([[first], same])
+            right = np.concatenate([same, [0]])
+            found = np.maximum(left, right)
+            yield from put(both.slice(0, both.num_rows - 1), found[:-1])
+            held, held_reach = both.slice(both.num_rows - 1, 1), int(left[-1])
         if held is not None:
-            yield held.select(["doc_id", "pos"])  # a partition's last row
+            width = 2 * len(held.column(held.schema.get_field_index(column))[0].as_py())
+            yield from put(held, np.array([width]))
+
+    return ordered.mapInArrow(run, schema)
 
-    ordered = suffixes.repartitionByRange("key", "doc_id", "pos").sortWithinPartitions("key", "doc_id", "pos")
-    return ordered.mapInArrow(run, f"doc_id {kind}, pos int")
+
+def extensible(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
+    """``(doc_id, pos, reach_right, reach_left)``: suffixes that agree with a neighbour in the key, and their extension.
+
+    In suffix order the longest beginning that a suffix shares with any other is shared with a neighbour; the same
+    holds for what stands before it, in the order of that.  Range partitions split even one very frequent suffix.
+    """
+    kind = dict(docs.dtypes)["doc_id"]
+    order = ["suffix", "before", "doc_id", "pos"]
+    ordered = anchors(docs, cfg).repartitionByRange(*order).sortWithinPartitions(*order)
+    right = _with_neighbours(ordered, "suffix", 0, f"suffix binary, before binary, doc_id {kind}, pos int, reach_right int", order, "reach_right", cfg.key_words)
+    right = materialise(right, "suffixes")
+    key = F.substring("suffix", 1, cfg.key_words // 2)
+    order = [key, F.col("before"), F.col("doc_id"), F.col("pos")]
+    ordered = right.repartitionByRange(*order).sortWithinPartitions(*order)
+    names = ["doc_id", "pos", "reach_right"]
+    return _with_neighbours(ordered, "before", cfg.key_words // 2, f"doc_id {kind}, pos int, reach_right int, reach_left int", names, "reach_left", 0)
 
 
 def windows(docs: DataFrame, places: DataFrame, cfg: RepeatConfig) -> DataFrame:
-    """``(h, doc_id, start)``: hashes of all windows of ``words`` words that hold one of the suffix keys."""
+    """``(h, h2, doc_id, start)``: hashes of the windows of ``words`` words around suffixes that reach far enough."""
     kind = dict(docs.dtypes)["doc_id"]
-    lists = places.groupBy("doc_id").agg(F.collect_set("pos").alias("places"))  # as many as one document has
-    some = docs.join(lists, "doc_id").select("doc_id", "text", "places")
+    lo = F.col("pos") - F.least("reach_left", F.lit(cfg.words - cfg.key_words))
+    hi = F.col("pos") - F.greatest(F.lit(0), cfg.words - F.col("reach_right"))
+    ranges = places.select("doc_id", F.struct(lo.alias("lo"), (hi + 1).alias("hi")).alias("x")).where("x.lo < x.hi")
+    lists = ranges.groupBy("doc_id").agg(F.collect_set("x").alias("ranges"))  # as many as one document has suffixes
+    some = docs.join(lists, "doc_id").select("doc_id", "text", "ranges")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in chunks(batches, "text"):
             words = hash_words(text_bytes(part.column(1)))
+            again = mix(words.h ^ np.uint64(0x5851F42D4C957F2D))
             hashes, rows, starts = [], [], []
-            for r, at in enumerate(part.column(2).to_pylist()):
+            spans = part.column(2)
+            for r in range(part.num_rows):
                 h = words.h[words.first[r] : words.first[r + 1]]
                 n = len(h) - cfg.words + 1
                 if n <= 0:
                     continue
+                own = spans[r].values
                 edge = np.zeros(n + 1, dtype=np.int32)
-                at = np.array(at, dtype=np.int64)
-                lo = np.clip(at + cfg.key_words - cfg.words, 0, n)
-                hi = np.clip(at + 1, 0, n)
-                np.add.at(edge, lo, 1)
-                np.add.at(edge, hi, -1)
+                np.add.at(edge, np.clip(own.field("lo").to_numpy(), 0, n), 1)
+                np.add.at(edge, np.clip(own.field("hi").to_numpy(), 0, n), -1)
                 start = np.flatnonzero(np.cumsum(edge[:-1]) > 0)
-                hashes.append(range_hash(h, start, start + cfg.words))
+                second = again[words.first[r] : words.first[r + 1]]
+                hashes.append(np.stack([range_hash(h, start, start + cfg.words), range_hash(second, start, start + cfg.words)]))
                 starts.append(start)
                 rows.append(np.full(len(start), r))
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(as_long(np.concatenate(hashes))), part.column(0).take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(starts).astype(np.int32))], names=["h", "doc_id", "start"])
+                both = as_long(np.ascontiguousarray(np.concatenate(hashes, axis=1)))
+                yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1]), part.column(0).take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(starts).astype(np.int32))], names=["h", "h2", "doc_id", "start"])
 
-    return some.mapInArrow(run, f"h bigint, doc_id {kind}, start int")
+    return some.mapInArrow(run, f"h bigint, h2 bigint, doc_id {kind}, start int")
+
+
+HEAVY = 2000  # a window with more than one place in so many of all is broadcast; there are at most as many
 
 
 def repeated_windows(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     """``(doc_id, start, first_doc, first_start)`` of every repeated window; the first is the least place."""
-    suffixes = materialise(anchors(docs, cfg), "suffixes")
-    places = materialise(agreeing(suffixes).distinct(), "places")
-    found = materialise(windows(docs, places, cfg), "windows")
+    found = materialise(windows(docs, extensible(docs, cfg), cfg), "windows")
     first = F.min(F.struct("doc_id", "start"))
     last = F.max("doc_id").alias("last_doc") if cfg.across else F.max(F.struct("doc_id", "start")).alias("last")
-    groups = found.groupBy("h").agg(first.alias("first"), last)
+    groups = found.groupBy("h", "h2").agg(first.alias("first"), last, F.count(F.lit(1)).alias("n"))
     groups = groups.where("first.doc_id <> last_doc" if cfg.across else "first <> last")
-    groups = groups.select("h", F.col("first.doc_id").alias("first_doc"), F.col("first.start").alias("first_start"))
-    return found.join(groups, "h").select("doc_id", "start", "first_doc", "first_start")
+    groups = materialise(groups.select("h", "h2", "n", F.col("first.doc_id").alias("first_doc"), F.col("first.start").alias("first_start")), "groups")
+    heavy = F.broadcast(groups.where(F.col("n") * HEAVY > found.count()).drop("n"))
+    rest = found.join(heavy.select("h", "h2"), ["h", "h2"], "left_anti").join(groups.drop("n"), ["h", "h2"])
+    return found.join(heavy, ["h", "h2"]).unionByName(rest).select("doc_id", "start", "first_doc", "first_start")
 
 
 def repeated_spans(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataFrame:
@@ -196,8 +248,11 @@ def _spans(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     return by_doc.mapInArrow(run, f"doc_id {kind}, first_word bigint, end_word bigint, n_words bigint, first_doc {kind}, is_first boolean")
 
 
+CUT = "ranges_cut_4d1f"  # no column of a caller
+
+
 def _cuts(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
-    """``(_cut_id, _cut)``: the word ranges to cut from each document.
+    """``(doc_id, CUT)``: the word ranges to cut from each document.
 
     Every later window loses its words, except that one overlapping its own first copy (a text of a short
     period) loses only those behind that copy: the copy stays whole, and the window is no longer there.
@@ -220,9 +275,9 @@ def _cuts(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
                         cut.append({"first_word": x["a"], "end_word": x["b"]})
                 out.append(cut)
             kinds = pa.list_(pa.struct([("first_word", pa.int64()), ("end_word", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, kinds)], names=["_cut_id", "_cut"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, kinds)], names=["doc_id", CUT])
 
-    return by_doc.mapInArrow(run, f"_cut_id {kind}, _cut array<struct<first_word:bigint,end_word:bigint>>")
+    return by_doc.mapInArrow(run, f"doc_id {kind}, {CUT} array<struct<first_word:bigint,end_word:bigint>>")
 
 
 def remove_repeats(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataFrame:
@@ -234,7 +289,7 @@ def remove_repeats(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataF
     """
     with Workspace() as space:
         cut = space.result(_cuts(prune(docs, "doc_id", "text"), cfg), "cuts")
-    joined = docs.join(cut, docs["doc_id"] == F.col("_cut_id"), "left").drop("_cut_id")
+    joined = docs.join(cut, "doc_id", "left").select(*[F.col(f"`{c}`") for c in docs.columns], CUT)
 
     @F.pandas_udf("string")
     def without(text, places):
@@ -253,8 +308,8 @@ def remove_repeats(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataF
             out.append(b"".join(parts).decode())
         return pd.Series(out)
 
-    touched = joined.where("_cut is not null").withColumn("text", without("text", "_cut")).where(F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]")))
-    plain = joined.where("_cut is null")
+    touched = joined.where(F.col(CUT).isNotNull()).withColumn("text", without("text", CUT)).where(F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]")))
+    plain = joined.where(F.col(CUT).isNull())
     if "n_chars" in docs.columns:
         touched = touched.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"]))
-    return plain.unionByName(touched).drop("_cut")
+    return plain.unionByName(touched).drop(CUT)

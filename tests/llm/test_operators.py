@@ -536,3 +536,22 @@ def test_leaks_of_any_id_type_and_clashing_columns(spark):
     assert sorted((r["doc_id"] or "", r["item_id"]) for r in decontaminate.find_leaks(docs, bench).collect()) == [("", 7.5), ("a", 7.5)]
     assert sorted(r["item_id"] for r in decontaminate.remove_leaks(docs, bench).collect()) == [2, 3]
     assert decontaminate.find_leaks(docs, bench.limit(0)).count() == 0 == decontaminate.find_leaks(docs.limit(0), bench).count()
+
+
+def test_repeats_with_unlike_neighbours(spark):
+    """Copies whose left and right contexts agree with different other copies, many copies of one passage, clashing columns."""
+    rng = random.Random(24)
+    core = words(rng, 24)
+    lefts, rights = [words(rng, 30) for _ in range(3)], [words(rng, 30) for _ in range(3)]
+    rows = [(i, " ".join([words(rng, rng.randint(0, 9)), rng.choice(lefts), core, rng.choice(rights), words(rng, rng.randint(0, 9))])) for i in range(80)]
+    rows += [(200 + i, " ".join([rng.choice(lefts).split(" ", 20)[-1], core, rng.choice(rights)[:60]])) for i in range(20)]
+    rows += [(300 + i, f"{words(rng, i % 5)} {lefts[0]} {lefts[1]}") for i in range(150)]
+    for across in (True, False):
+        cfg = suffix.RepeatConfig(across=across)
+        want = brute_repeats(rows) if across else all_places(rows)
+        d = frame(spark, rows, True).repartition(7)
+        covered = {(r["doc_id"], s) for r in suffix.repeated_spans(d, cfg).collect() for s in range(r["first_word"], r["end_word"] - 49)}
+        assert covered >= want and {x for x, _ in covered} == {x for x, _ in want}
+    left = suffix.remove_repeats(frame(spark, rows).withColumn("_cut", F.lit(1)).withColumn("_cut_id", F.lit(2)).withColumn("ranges", F.lit(3)), cfg)
+    assert left.columns == ["doc_id", "text", "_cut", "_cut_id", "ranges"]
+    assert not all_places([(r["doc_id"], r["text"]) for r in left.collect()])
