@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 
 from normgraph.llm import decontaminate, encoding, minhash, suffix, toxicity
-from normgraph.llm.common import shared_dir, table
+from normgraph.llm.common import Workspace, materialise, table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -51,11 +49,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in order over ``documents``; each stage's result is written and read again."""
+    """All stages in order over ``documents``; each stage's result is written, and goes once the next one is."""
     docs = table(spark, sf_dir, "documents")
-    base = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
-    for name, stage in STAGES:
-        path = f"{base}/{name}"
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
-    return docs
+    with Workspace() as space:
+        for name, stage in STAGES[:-1]:
+            docs = materialise(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        name, stage = STAGES[-1]
+        return space.result(stage(spark, docs, sf_dir), f"pipeline-{name}")
