@@ -15,6 +15,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -23,7 +24,7 @@ from normgraph.llm.common import Workspace, chunks, materialise, prune, ragged_t
 
 VOCABULARY = "byte_bpe_50k.json"
 #: Bytes of the common words that each worker gets; words beyond are joined.
-HEAD_BYTES = 16 << 20
+HEAD_BYTES = 48 << 20
 _WORD = "word string, n bigint, key bigint, ids array<int>, piece binary"
 
 
@@ -163,8 +164,8 @@ class Lexicon:
         return Lexicon(one("key", pa.int64()).to_numpy().view(np.uint64), one("ids", pa.list_(pa.int32())), one("piece", pa.binary()))
 
 
-def common_words(table: DataFrame, max_bytes: int) -> tuple[Lexicon, int | None]:
-    """The commonest words of ``word_table`` that fit ``max_bytes``, and the class of frequency from which on they are whole."""
+def common_words(table: DataFrame, max_bytes: int) -> tuple[Lexicon, DataFrame]:
+    """The commonest words of ``word_table`` that fit ``max_bytes``, by classes of frequency, and the table of the others."""
     size = F.lit(24) + 4 * F.size("ids") + F.octet_length("piece")
     cls = F.floor(F.log2("n") * 16).cast("int")
     classes = table.groupBy(cls.alias("c")).agg(F.sum(size).alias("bytes")).orderBy(F.desc("c")).collect()  # some thousand at most
@@ -175,13 +176,13 @@ def common_words(table: DataFrame, max_bytes: int) -> tuple[Lexicon, int | None]
             break
         least = r["c"]
     chosen = table.where(cls >= least) if least is not None else table.limit(0)
-    return Lexicon.of(chosen.select("key", "ids", "piece").toArrow()), least
+    return Lexicon.of(chosen.select("key", "ids", "piece").toArrow()), table if least is None else table.where(cls < least)
 
 
 def _packed(part: pa.RecordBatch) -> tuple[int, bytes]:
-    """A block of documents as compressed bytes, and an id that follows from its contents."""
+    """An id that follows from the contents of a block of documents, and the block as bytes."""
     sink = pa.BufferOutputStream()
-    with pa.ipc.new_stream(sink, part.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as writer:
+    with pa.ipc.new_stream(sink, part.schema) as writer:
         writer.write_batch(part)
     raw = sink.getvalue().to_pybytes()
     return int.from_bytes(hashlib.blake2b(raw, digest_size=8).digest(), "little", signed=True), raw
@@ -194,7 +195,7 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
     """``emit(block, ids, ids of each text, bytes, bytes of each text)`` for every block of documents."""
     spark, docs = docs.sparkSession, prune(docs, id_col, text_col)
     table = materialise(word_table(distinct_words(docs, id_col, text_col, path), path), "words")
-    lexicon, _ = common_words(table, head_bytes)
+    lexicon, others = common_words(table, head_bytes)
     shared = spark.sparkContext.broadcast(lexicon)
 
     def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -207,21 +208,22 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
                 yield pa.RecordBatch.from_arrays([pa.array([block] * len(some), pa.int64()), pa.array(some, pa.string())], names=["block", "word"])
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        squeeze = zstandard.ZstdCompressor(level=7)
         for part in chunks(batches, text_col):
             block, raw = _packed(part)
-            yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([raw], pa.binary())], names=["block", "raw"])
+            yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([squeeze.compress(raw)], pa.binary())], names=["block", "raw"])
 
-    needed = docs.mapInArrow(rare, "block bigint, word string").distinct().join(table.select("word", "key", "ids", "piece"), "word")
+    needed = docs.mapInArrow(rare, "block bigint, word string").join(others.select("word", "key", "ids", "piece"), "word")
     needed = needed.groupBy("block").agg(F.collect_list(F.struct("key", "ids", "piece")).alias("found"))  # as many as one block has
     blocks = docs.mapInArrow(pack, "block bigint, raw binary").join(needed, "block", "left").select("raw", "found")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        head = shared.value
+        head, unpack = shared.value, zstandard.ZstdDecompressor()
         for batch in batches:
             for row in range(batch.num_rows):
                 found = batch.column(1).slice(row, 1).flatten()
                 tail = Lexicon(found.field("key").to_numpy().view(np.uint64), found.field("ids"), found.field("piece"))
-                for part in pa.ipc.open_stream(batch.column(0)[row].as_py()):
+                for part in pa.ipc.open_stream(unpack.decompress(batch.column(0)[row].as_py())):
                     yield emit(part, *_assemble(split_words(_texts(part), path), part.num_rows, (head, tail), path))
 
     return blocks.mapInArrow(run, schema)
