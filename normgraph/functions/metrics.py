@@ -161,7 +161,7 @@ def bootstrap_f1(spark, cells: dict[str, int], draws: int = 10_000, seed: int =
     return draws_df.agg(F.percentile("f1", F.lit(0.025)).alias("low"), F.percentile("f1", F.lit(0.975)).alias("high"))
 
 
-def bootstrap_pool_kappa(ratings: DataFrame, draws: int = 1000, seed: int = 42) -> DataFrame:
+def bootstrap_pool_kappa(ratings: DataFrame, draws: int = 10_000, seed: int = 42) -> DataFrame:
     """Percentile interval of the pool kappa, from multinomial draws over distinct count vectors of items."""
     labels = ["O", "P", "F", "N"]
     per_item = ratings.groupBy("item_id").agg(*[F.count_if(F.col("label") == x).cast("int").alias(x) for x in labels])

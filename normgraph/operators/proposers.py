@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 from collections.abc import Callable, Iterator
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 from typing import Protocol
 
@@ -55,9 +56,11 @@ class NoisyProposer:
 
 @dataclass(frozen=True)
 class ExternalProposer:
-    """Calls ``fn(texts, cfg) -> list of JSON strings`` for each Arrow batch; bad JSON is retried once, then null.
+    """Calls ``fn(texts, cfg) -> list of JSON strings`` for each batch; bad JSON is retried once, then null.
 
-    Place it after the pre-filter and write its output: lineage must not call a model twice.
+    A call that takes longer than ``cfg.timeout_s`` counts as an attempt without answers.  Where the rows have
+    ``hints``, a line with them follows the text.  Place it after the pre-filter and write its output: lineage must
+    not call a model twice.
     """
 
     fn: Callable[[list[str], Decoding], list[str]]
@@ -67,11 +70,20 @@ class ExternalProposer:
     def propose(self, df: DataFrame, cfg: Decoding = Decoding()) -> DataFrame:
         fn, size, attempts = self.fn, self.batch, self.attempts
 
+        def in_time(texts: list[str]) -> list[str | None]:
+            pool = ThreadPoolExecutor(1)
+            try:
+                return pool.submit(fn, texts, cfg).result(cfg.timeout_s)
+            except TimeoutError:
+                return [None] * len(texts)
+            finally:
+                pool.shutdown(wait=False, cancel_futures=True)
+
         def answer(texts: list[str]) -> list[str | None]:
             out: list[str | None] = [None] * len(texts)
             for _ in range(attempts):
                 open_ = [i for i, a in enumerate(out) if a is None]
-                for i, raw in zip(open_, fn([texts[i] for i in open_], cfg) if open_ else [], strict=True):
+                for i, raw in zip(open_, in_time([texts[i] for i in open_]) if open_ else [], strict=True):
                     try:
                         json.loads(raw)
                     except (TypeError, ValueError):
@@ -83,7 +95,10 @@ class ExternalProposer:
             for f in frames:
                 for at in range(0, len(f), size):
                     part = f.iloc[at : at + size].copy()
-                    part["raw"] = answer(part["text"].fillna("").tolist())
+                    texts = part["text"].fillna("").tolist()
+                    if "hints" in part:
+                        texts = [f"{t}\nhints: {h}" if h else t for t, h in zip(texts, part["hints"].fillna(""), strict=True)]
+                    part["raw"] = answer(texts)
                     yield part
 
         raw = df.mapInPandas(run, StructType([*df.schema.fields, StructField("raw", StringType())]))

@@ -12,6 +12,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from normgraph.operators import shapes
 from normgraph.sources.tables import table
 
 
@@ -158,6 +159,43 @@ def validate_triples(graph: DataFrame, constraints: tuple[Constraint, ...]) -> D
     return measured.where(low | high).select("shape_id", "focus_class", F.substring_index("s", "/", -1).alias("focus_id"), "path", "observed", "severity")
 
 
+def validate_shapes(spark: SparkSession, sf_dir: str, emitted: DataFrame) -> DataFrame:
+    """Violations of emitted shapes on the measured (class, path) pairs; invalid shapes are skipped, permissions never fail.
+
+    A qualified minimum counts the values of the path, which all have its one value class here.  The distinct
+    constraints on measured pairs are a few dozen whatever the corpus: counts are 0 or 1, severities three.
+    """
+    measured = None
+    for (cls, path), df in paths(spark, sf_dir).items():
+        d = df.select(F.lit(cls).alias("focus_class"), F.lit(path).alias("path"), "focus_id", "observed")
+        measured = d if measured is None else measured.unionByName(d)
+    some = F.array(*[F.lit(f"{c}|{p}") for c, p in paths(spark, sf_dir)])
+    spec = shapes.rules_only(shapes.load_valid(emitted)).where(F.array_contains(some, F.concat_ws("|", "target_class", "path")))
+    spec = F.broadcast(spec.withColumnRenamed("target_class", "focus_class"))
+    return measured.join(spec, ["focus_class", "path"]).where(violated(F.col("observed")))
+
+
+def violated(observed: Column) -> Column:
+    """Whether a count breaks ``min_count``, ``max_count`` or ``q_min`` of the same row."""
+    low = observed < F.greatest(F.coalesce("min_count", F.lit(0)), F.coalesce("q_min", F.lit(0)))
+    return low | F.coalesce(observed > F.col("max_count"), F.lit(False))
+
+
+def planted_entities(emitted: DataFrame, gold: DataFrame) -> DataFrame:
+    """``(sent_id, route, negative, flagged)``: two entities of the gold class for each obligation and prohibition.
+
+    The positive one does what the gold rule asks, the negative one doesn't; ``flagged`` tells whether the sentence's
+    own shape, run on the entity, reports it.  A shape on another class or path finds no value there, and one
+    that isn't valid is never loaded.
+    """
+    j = shapes.with_validity(emitted).join(gold.where("gold_label in ('O', 'F')").select("sent_id", "gold_label", "gold_class", "gold_pred"), "sent_id")
+    j = j.withColumn("negative", F.explode(F.array(F.lit(False), F.lit(True))))
+    has = (F.col("gold_label") == "O") != F.col("negative")
+    aimed = F.coalesce(F.col("target_class") == F.col("gold_class"), F.lit(False))
+    seen = F.when(aimed & F.coalesce(F.col("path") == F.col("gold_pred"), F.lit(False)), has.cast("int")).otherwise(F.lit(0))
+    return j.select("sent_id", "route", "negative", (F.col("valid") & aimed & violated(seen)).alias("flagged"))
+
+
 def entity_report(violations: DataFrame) -> DataFrame:
     """For each focus node: how many violations, the worst severity, and the paths."""
     rank = F.when(F.col("severity") == "Violation", 3).when(F.col("severity") == "Warning", 2).otherwise(1)

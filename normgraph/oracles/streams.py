@@ -23,3 +23,6 @@ SQL: dict[str, str] = {
  select user_id, signup, case when bought <= signup + 604800 then 'kept' when (select max(floor(epoch(ts))) from events) > signup + 604800 then 'missed' else 'open' end as verdict from f""",
     "st_incremental_rules": "select user_id, arg_max(event_id, (ts, event_id)) as event_id, count(*) as n_versions from events group by 1",
 }
+
+#: Late rows change nothing.
+SQL["st_watermark_late_file"] = SQL["st_watermark_late"]

@@ -10,8 +10,11 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from normgraph.functions import cues
 from normgraph.operators import adapter, classify, formalise, shapes
+from normgraph.operators.proposers import Decoding, Proposer
 from normgraph.sources.registry import load_registry
+from normgraph.sources.shared import stored
 
 
 @dataclass(frozen=True)
@@ -49,18 +52,38 @@ def classify_stage(sentences: DataFrame, cfg: PipelineConfig) -> tuple[DataFrame
     return candidates, labelled
 
 
-def run(spark: SparkSession, sentences: DataFrame, cfg: PipelineConfig = PipelineConfig()) -> Result:
-    """All stages over ``sentences (sent_id, text, ..)``; one plan, nothing is collected."""
-    candidates, labelled = classify_stage(sentences, cfg)
+def proposed(candidates: DataFrame, cfg: PipelineConfig, proposer: Proposer, decoding: Decoding) -> DataFrame:
+    """Labels of a proposer, called once for each candidate and written; answers that can't be read are no rules."""
+    cued = classify.label(candidates, cfg.cues, "off", quote_guard=False).drop("label", "confidence")
+    if cfg.hints:
+        cued = cued.withColumn("hints", F.concat_ws(",", cues.hints(cues.padded(F.col("text")), cfg.cues)))
+    known = F.col("label").isin("O", "P", "F", "N")
+    answers = stored(proposer.propose(cued, decoding), "answers").withColumn("label", F.when(known, F.col("label")).otherwise(F.lit("N")))
+    return answers.withColumn("confidence", F.coalesce("confidence", F.lit(0.0))).drop("raw", "hints")
+
+
+def shapes_of(grounded: DataFrame, cfg: PipelineConfig = PipelineConfig()) -> DataFrame:
+    """Shapes of the formulas, and by the direct route of what has none."""
+    out = shapes.emit(grounded)
+    return out.unionByName(shapes.direct(grounded)) if cfg.fallback else out
+
+
+def run(spark: SparkSession, sentences: DataFrame, cfg: PipelineConfig = PipelineConfig(), proposer: Proposer | None = None, decoding: Decoding = Decoding()) -> Result:
+    """All stages over ``sentences (sent_id, text, ..)``; one plan, nothing is collected.
+
+    A ``proposer`` takes the place of the cue rules in the classification; its answers are written before they are used.
+    """
+    if proposer:
+        candidates = classify.prefilter(sentences, cfg.cues) if cfg.prefilter else sentences
+        labelled = proposed(candidates, cfg, proposer, decoding)
+    else:
+        candidates, labelled = classify_stage(sentences, cfg)
     rules = labelled.where("label <> 'N'")
     formulas = formalise.lift(rules, 0)
     if cfg.fol_retry:
         formulas = formalise.retry(formulas)
     grounded = adapter.ground(formulas, load_registry(spark, cfg.registry))
-    out = shapes.emit(grounded)
-    if cfg.fallback:
-        out = out.unionByName(shapes.direct(formulas))
-    return Result(candidates, labelled, rules, grounded, out)
+    return Result(candidates, labelled, rules, grounded, shapes_of(grounded, cfg))
 
 
 ABLATIONS = {

@@ -13,6 +13,7 @@ from normgraph.functions.pin import pin
 from normgraph.operators import adapter, baselines, classify, formalise, policygen, proposers, segment, shapes, validate
 from normgraph.plans import pipeline, profile, stability
 from normgraph.sources.registry import load_registry
+from normgraph.sources.shared import stored
 from normgraph.sources.tables import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -605,17 +606,41 @@ def price(spark, sf):
 
 @query
 def wl_funnel_policy(spark, sf):
+    """Counts of every step; formulas are written once, and all that follows from them is counted there."""
     c = corpus(spark, sf)
     r = pipeline.run(spark, c)
-    valid = shapes.with_validity(r.shapes)
-    steps = [("sentences", c, F.lit(True)), ("candidates", r.candidates, F.lit(True)), ("rules", r.rules, F.lit(True)), ("formulas", r.formulas, F.col("ok")), ("fallback", r.formulas, ~F.col("ok")), ("shapes", valid, F.lit(True)), ("valid_shapes", valid, F.col("valid"))]
+    formulas = stored(r.formulas, "formulas")
+    valid = shapes.with_validity(pipeline.shapes_of(formulas))
+    counts = (
+        (c, {"sentences": F.lit(True)}),
+        (r.candidates, {"candidates": F.lit(True)}),
+        (formulas, {"rules": F.lit(True), "formulas": F.col("ok"), "fallback": ~F.col("ok")}),
+        (valid, {"shapes": F.lit(True), "valid_shapes": F.col("valid")}),
+    )
     out = None
-    for name, df, cond in steps:
-        d = df.agg(F.count_if(cond).alias("n")).select(F.lit(name).alias("step"), "n")
+    for df, steps in counts:
+        d = df.agg(*[F.count_if(cond).alias(name) for name, cond in steps.items()])
+        d = d.select(F.explode(F.array(*[F.struct(F.lit(name).alias("step"), F.col(name).alias("n")) for name in steps])).alias("x")).select("x.*")
         out = d if out is None else out.unionByName(d)
     return out
 
 
+@query
+def wl_validate_emitted(spark, sf):
+    """The pipeline's own valid shapes, run over the entity tables."""
+    found = validate.validate_shapes(spark, sf, _run(spark, sf).shapes)
+    return found.groupBy("focus_class", "path", "deontic", "severity").agg(_n(), F.sum("observed").cast("long").alias("observed"))
+
+
+@query
+def wl_tier4(spark, sf):
+    """T4: what each sentence's own shape says of a planted positive and a planted negative entity, by route."""
+    d = validate.planted_entities(_run(spark, sf).shapes, corpus(spark, sf))
+    neg, hit = F.col("negative"), F.col("flagged")
+    n = d.groupBy("route").agg(F.count_if(neg & hit).alias("tp"), F.count_if(~neg & hit).alias("fp"), F.count_if(neg & ~hit).alias("fn"), F.count_if(~neg & ~hit).alias("tn"))
+    return n.withColumn("recall", F.col("tp") / (F.col("tp") + F.col("fn"))).withColumn("f1", 2 * F.col("tp") / (2 * F.col("tp") + F.col("fp") + F.col("fn")))
+
+
 @query
 def wl_funnel_documents(spark, sf):
     p = segment.pieces(table(spark, sf, "documents", "doc_id", "text", "lang"), keep=("lang",))
@@ -678,6 +703,13 @@ def wl_logreg_lease(spark, sf):
     return M.per_class(cells)
 
 
+@query
+def wl_logreg_lease_cv(spark, sf):
+    """The learned baseline by five folds on the lease set alone."""
+    cells = M.confusion(baselines.logreg_cv(corpus(spark, sf, "lease").where("gold_label <> 'N'").select("sent_id", "text", "gold_label")))
+    return M.accuracy(cells).crossJoin(M.cohen_kappa(cells).select("kappa")).crossJoin(M.macro_f1(cells))
+
+
 @query
 def wl_lineup(spark, sf):
     """Simulated models on the sample: accuracy with interval, kappa, macro F1, exact test against the first."""

@@ -6,7 +6,6 @@ it, so that a batch query can be held against it.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -14,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from normgraph.sources.shared import scratch
+from normgraph.sources.shared import folder
 from normgraph.sources.tables import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -26,13 +25,14 @@ def query(f):  # noqa: ANN001, ANN201
     return f
 
 
-def source(spark: SparkSession, sf: str, max_files: int = 1, more: tuple[str, ...] = (), close: bool = False) -> DataFrame:
+def source(spark: SparkSession, sf: str, max_files: int = 1, more: tuple[str, ...] = (), close: bool = False, late: bool = False) -> DataFrame:
     """The events as a stream of files in time order; ``ts`` gets a zone, which watermarks need.
 
     With ``close`` a last file has a closing row for each user with a signup, at the time of the last event.
+    With ``late`` a last file brings the rows of the first quarter of the time a second time.
     """
     cols = ["event_id", "ts", "user_id", "event_type", "value", *more]
-    path = f"{scratch(spark)}/events-{uuid.uuid4().hex}"
+    path = folder(spark, "events")
     e = table(spark, sf, "events", *cols[:5]).withColumn("ts", F.col("ts").cast("timestamp"))
     lo, hi = e.agg(F.min(F.unix_timestamp("ts")), F.max(F.unix_timestamp("ts"))).first()
     step = ((hi or 0) - (lo or 0)) // FILES + 1
@@ -43,13 +43,15 @@ def source(spark: SparkSession, sf: str, max_files: int = 1, more: tuple[str, ..
         users = e.where("event_type = 'signup'").select("user_id").distinct().crossJoin(F.broadcast(last))
         rows = {"event_id": F.lit(2**63 - 1), "event_type": F.lit("close"), "value": F.lit(None)}
         users.select(*[(rows.get(f.name, F.col(f.name))).cast(f.dataType).alias(f.name) for f in e.schema]).coalesce(1).write.mode("append").parquet(path)
+    if late:
+        e.where(F.floor((F.unix_timestamp("ts") - (lo or 0)) / step) == 0).coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(e.schema).option("maxFilesPerTrigger", max_files).option("latestFirst", "false").parquet(path)
 
 
 def drain(df: DataFrame, mode: str = "append") -> DataFrame:
     """Run to the end of the input and read what was written; ``complete`` results replace the table."""
     spark = df.sparkSession
-    base = f"{scratch(spark)}/stream-{uuid.uuid4().hex}"
+    base = folder(spark, "stream")
     writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/state").trigger(availableNow=True)
     if mode == "append":
         q = writer.format("parquet").start(f"{base}/out")
@@ -115,6 +117,13 @@ def st_watermark_late(spark, sf):
     return drain(w).select(F.unix_timestamp("w.start").alias("start"), "n")
 
 
+@query
+def st_watermark_late_file(spark, sf):
+    """The same windows when a file of old rows arrives last: these are behind the watermark and count nowhere."""
+    w = source(spark, sf, late=True).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n"))
+    return drain(w).select(F.unix_timestamp("w.start").alias("start"), "n")
+
+
 OWED_DAYS = 7
 
 
@@ -163,13 +172,13 @@ def _deadlines(events: DataFrame) -> DataFrame:
 @query
 def st_incremental_rules(spark, sf):
     """Rules arrive in batches; a revised rule supersedes the old version, and readers take the latest."""
-    base = f"{scratch(spark)}/rules-{uuid.uuid4().hex}"
+    base = folder(spark, "rules")
     s = source(spark, sf).select("event_id", "user_id", "value")
 
     def store(batch: DataFrame, batch_id: int) -> None:  # idempotent: one folder for each batch
         batch.withColumn("version", F.lit(batch_id)).write.mode("overwrite").parquet(f"{base}/batch={batch_id}")
 
-    q = s.writeStream.foreachBatch(store).option("checkpointLocation", f"{base}-state").trigger(availableNow=True).start()
+    q = s.writeStream.foreachBatch(store).option("checkpointLocation", folder(spark, "rules-state")).trigger(availableNow=True).start()
     q.awaitTermination()
     rules = spark.read.parquet(f"{base}/batch=*")
     return rules.groupBy("user_id").agg(F.max_by("event_id", F.struct("version", "event_id")).alias("event_id"), F.count(F.lit(1)).alias("n_versions"))

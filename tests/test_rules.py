@@ -146,3 +146,23 @@ def test_overrides_and_defeat(spark, sf):
     s = pipeline.run(spark, policygen.render(spark, sf)).shapes
     o = shapes.overrides(s)
     assert {tuple(r)[1:] for r in o.collect()} == {("Customer", "hasNegativeBalance")}
+
+
+def test_external_proposer_in_the_pipeline(spark):
+    """Answers of a stand-in model, hints included; what is late or unreadable is no rule."""
+    from normgraph.operators.proposers import Decoding, ExternalProposer
+    from normgraph.plans import pipeline
+
+    def model(texts, cfg):
+        import json
+        import time
+
+        if any("slow" in t for t in texts):
+            time.sleep(5)
+        return ["no json" if "broken" in t else json.dumps({"label": "F" if "hints: must not:F" in t else "O", "confidence": 0.9}) for t in texts]
+
+    rows = [("a", "Every customer must place order 1."), ("b", "A customer must not have negative balance on order 2."), ("c", "The broken customer must place order 3."), ("d", "The slow customer must place order 4.")]
+    d = spark.createDataFrame(rows, "sent_id string, text string").repartition(1)
+    r = pipeline.run(spark, d, proposer=ExternalProposer(model, batch=1), decoding=Decoding(timeout_s=1.0))
+    assert {x["sent_id"]: x["label"] for x in r.labelled.collect()} == {"a": "O", "b": "F", "c": "N", "d": "N"}
+    assert {x["sent_id"]: (x["path"], x["deontic"]) for x in r.shapes.collect()} == {"a": ("placesOrder", "obligation"), "b": ("hasNegativeBalance", "prohibition")}
