@@ -27,11 +27,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``, or one of our own where unset."""
+    """The folder all executors share: ``spark.checkpoint.dir``; where unset, the warehouse, or a folder of the only machine."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        found = tempfile.mkdtemp(prefix="normgraph-")
-        spark.sparkContext.setCheckpointDir(found)
+        local = spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local"
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="normgraph-") if local else f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/normgraph-scratch")
         found = spark.sparkContext.getCheckpointDir()
     return found.rstrip("/")
 

@@ -1,6 +1,6 @@
 """Quality classification by co-training two views of a document.
 
-One classifier sees the text (counts of its characters, words and lines), the other the record's metadata
+One classifier sees the text (hashed words and word pairs, kinds of characters, lines), the other the record's metadata
 (language, source, stated length).  Over some rounds each labels the pool rows it is surest of for the other.
 Both are then calibrated on labelled rows kept apart, and their calibrated log-odds are combined.
 Only labelled rows are sampled for training (by a hash); the pool is every unlabelled document, and every document is scored.
@@ -18,12 +18,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from normgraph.llm.common import Workspace, chunks, materialise, prune, text_bytes
-from normgraph.llm.wordhash import hash_words
+from normgraph.llm.wordhash import hash_words, mix
 
 _KINDS = np.zeros(256, dtype=np.int64)  # kinds of bytes, for one bincount a text
 for _name, _set in enumerate((b"#*$%&|<>", b"0123456789", bytes(range(65, 91)), b".!?", b",;:", b" \t", b"\n", bytes(range(97, 123)), b"|"), start=1):
     _KINDS[list(_set)] = _name
-_N_TEXT = 16
+_SHAPES, _WORDS, _PAIRS = 16, 48, 16
+_N_TEXT = _SHAPES + _WORDS + _PAIRS
 _SOURCES = 64
 _LENGTHS = 12
 
@@ -42,7 +43,7 @@ class CoTrainingConfig:
 
 
 def text_view(raws: list[bytes]) -> np.ndarray:
-    """Dense features of whole texts."""
+    """Features of whole texts: shares of kinds of characters, lengths and repeats, and hashed words and word pairs."""
     words = hash_words(raws)
     out = np.zeros((len(raws), _N_TEXT))
     for r, raw in enumerate(raws):
@@ -53,11 +54,12 @@ def text_view(raws: list[bytes]) -> np.ndarray:
         m = max(1, len(h))
         lines = raw.split(b"\n")
         pairs = h[:-1] * np.uint64(31) + h[1:] if len(h) > 1 else h
-        out[r] = [
+        out[r, :_SHAPES] = [
             np.log1p(len(h)), *(kinds[k] / n for k in (1, 2, 3, 4, 5, 6, 7, 9)), size.mean() if len(size) else 0, size.std() if len(size) else 0,
             len(np.unique(h)) / m, len(np.unique(pairs)) / max(1, len(pairs)), 1 - len(set(lines)) / len(lines), np.log1p(n / len(lines)),
             float(kinds[1] == 0 and kinds[9] == 0),
         ]
+        out[r, _SHAPES:] = np.sqrt(np.r_[np.bincount((h % np.uint64(_WORDS)).astype(np.int64), minlength=_WORDS) / m, np.bincount((mix(pairs) % np.uint64(_PAIRS)).astype(np.int64), minlength=_PAIRS) / m])
     return out
 
 
