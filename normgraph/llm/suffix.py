@@ -5,7 +5,7 @@ so that two copies of a passage of ``words`` words keep at least one common suff
 symbols (four bits of each word's hash); the suffixes are sorted over range partitions and compared with their
 neighbours, which gives how far each can be extended to the right, and, sorted again within equal beginnings by what
 stands before them, to the left.  Only windows of ``words`` words that these bounds admit are taken from the texts,
-and compared by a 128-bit hash of their words.  Overlapping repeated windows merge into spans.
+and compared by a 96-bit hash of their words.  Overlapping repeated windows merge into spans.
 """
 
 from __future__ import annotations
@@ -186,9 +186,9 @@ def windows(docs: DataFrame, places: DataFrame, cfg: RepeatConfig) -> DataFrame:
                 rows.append(np.full(len(start), r))
             if rows:
                 both = as_long(np.ascontiguousarray(np.concatenate(hashes, axis=1)))
-                yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1]), part.column(0).take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(starts).astype(np.int32))], names=["h", "h2", "doc_id", "start"])
+                yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array((both[1] >> 32).astype(np.int32)), part.column(0).take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(starts).astype(np.int32))], names=["h", "h2", "doc_id", "start"])
 
-    return some.mapInArrow(run, f"h bigint, h2 bigint, doc_id {kind}, start int")
+    return some.mapInArrow(run, f"h bigint, h2 int, doc_id {kind}, start int")
 
 
 HEAVY = 2000  # a window with more than one place in so many of all is broadcast; there are at most as many
