@@ -207,6 +207,11 @@ def repeated_windows(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     return found.join(heavy, ["h", "h2"]).unionByName(rest).select("doc_id", "start", "first_doc", "first_start")
 
 
+def _flat(lists: pa.ListArray) -> tuple[np.ndarray, pa.StructArray]:
+    """The entries of lists without nulls, and the row of each."""
+    return np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy())), lists.flatten()
+
+
 def repeated_spans(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataFrame:
     """``(doc_id, first_word, end_word, n_words, first_doc, is_first)``: maximal repeated spans of each document.
 
@@ -228,22 +233,16 @@ def _spans(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: dict[str, list] = {c: [] for c in ("row", "first_word", "end_word", "first_doc", "is_first")}
-            for r, found in enumerate(batch.column(1).to_pylist()):
-                spans: list[list] = []
-                for x in found:
-                    s = x["start"]
-                    if spans and spans[-1][3] == x["own"] and s <= spans[-1][1]:
-                        spans[-1][1] = s + cfg.words
-                    else:
-                        spans.append([s, s + cfg.words, x["first_doc"], x["own"]])
-                for a, b, first, mine in spans:
-                    for c, v in zip(out, (r, a, b, first, mine), strict=True):
-                        out[c].append(v)
-            if out["row"]:
-                cols = [batch.column(0).take(pa.array(out["row"])), pa.array(out["first_word"], pa.int64()), pa.array(out["end_word"], pa.int64())]
-                n = pa.array([b - a for a, b in zip(out["first_word"], out["end_word"], strict=True)], pa.int64())
-                yield pa.RecordBatch.from_arrays([*cols, n, pa.array(out["first_doc"]).cast(cols[0].type), pa.array(out["is_first"], pa.bool_())], names=["doc_id", "first_word", "end_word", "n_words", "first_doc", "is_first"])
+            if not batch.num_rows:
+                continue
+            row, hit = _flat(batch.column(1))
+            start, mine = (hit.field(c).to_numpy(zero_copy_only=False) for c in ("start", "own"))
+            start = start.astype(np.int64)
+            new = np.append(True, (row[1:] != row[:-1]) | (mine[1:] != mine[:-1]) | (start[1:] > start[:-1] + cfg.words))
+            begin = np.flatnonzero(new)
+            end = start[np.append(begin[1:], len(start)) - 1] + cfg.words
+            cols = [batch.column(0).take(pa.array(row[begin])), pa.array(start[begin]), pa.array(end), pa.array(end - start[begin])]
+            yield pa.RecordBatch.from_arrays([*cols, hit.field("first_doc").take(pa.array(begin)), pa.array(mine[begin])], names=["doc_id", "first_word", "end_word", "n_words", "first_doc", "is_first"])
 
     return by_doc.mapInArrow(run, f"doc_id {kind}, first_word bigint, end_word bigint, n_words bigint, first_doc {kind}, is_first boolean")
 
@@ -265,17 +264,17 @@ def _cuts(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for ranges in batch.column(1).to_pylist():
-                cut: list[dict] = []
-                for x in ranges:
-                    if cut and x["a"] <= cut[-1]["end_word"]:
-                        cut[-1]["end_word"] = max(cut[-1]["end_word"], x["b"])
-                    else:
-                        cut.append({"first_word": x["a"], "end_word": x["b"]})
-                out.append(cut)
-            kinds = pa.list_(pa.struct([("first_word", pa.int64()), ("end_word", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, kinds)], names=["doc_id", CUT])
+            if not batch.num_rows:
+                continue
+            row, found = _flat(batch.column(1))
+            a, b = (found.field(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("a", "b"))
+            apart = row << 40  # beyond every word position, so that the running end starts anew in each document
+            end = np.maximum.accumulate(b + apart)
+            begin = np.flatnonzero(np.append(True, (a + apart)[1:] > end[:-1]))
+            last = np.append(begin[1:], len(row)) - 1
+            cut = pa.StructArray.from_arrays([pa.array(a[begin]), pa.array(end[last] - apart[last])], names=["first_word", "end_word"])
+            offs = np.searchsorted(row[begin], np.arange(batch.num_rows + 1)).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(offs), cut)], names=["doc_id", CUT])
 
     return by_doc.mapInArrow(run, f"doc_id {kind}, {CUT} array<struct<first_word:bigint,end_word:bigint>>")
 
