@@ -3,7 +3,9 @@
 Words are split in Spark and counted; each distinct word is encoded once, and its ids are turned back into bytes by a
 join with the id-to-piece table.  Documents then take ids and bytes from that table by position.  The commonest
 words, up to ``HEAD_BYTES``, are broadcast; the rest come to the blocks of documents that need them through a
-join on the word, so no task ever holds the whole table.
+join on the word, so no task ever holds the whole table.  Bytes of a word that the join with the id-to-piece table
+finds equal to the word itself, as it does for all but odd vocabularies, are not stored a second time: their
+piece is null, and a document takes them from where the word stands.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ from normgraph.llm.common import Workspace, chunks, materialise, prune, ragged_t
 VOCABULARY = "byte_bpe_50k.json"
 #: Bytes of the common words that each worker gets; words beyond are joined.
 HEAD_BYTES = 48 << 20
-_WORD = "word string, n bigint, key bigint, ids array<int>, piece binary"
+_WORD = "word string, n bigint, ids array<int>, piece binary"
 
 
 def vocabulary_path(name: str = VOCABULARY) -> str:
@@ -93,7 +95,10 @@ def pieces(spark: SparkSession, path: str) -> DataFrame:
 
 
 def word_table(words: DataFrame, path: str) -> DataFrame:
-    """``(word, n, key, ids, piece)``: ids of each distinct word, and its bytes by a join of the ids with ``pieces``."""
+    """``(word, n, ids, piece)``: ids of each distinct word, and its bytes by a join of the ids with ``pieces``.
+
+    ``piece`` is null where these bytes are those of the word.
+    """
 
     def encode_each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = word_encoder(path)
@@ -101,52 +106,56 @@ def word_table(words: DataFrame, path: str) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            inner = [stops.get(w, w) for w in batch.column(0).to_pylist()]
-            size = np.array([len(w) for w in inner], dtype=np.int64)
-            end = np.cumsum(size)
-            keys = word_keys(points_of("".join(inner)), end - size, end)
-            ids = pa.array([enc.ids_of(w) for w in inner], pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(keys.view(np.int64)), ids], names=["word", "n", "key", "ids"])
-
-    encoded = words.mapInArrow(encode_each, "word string, n bigint, key bigint, ids array<int>")
+            ids = pa.array([enc.ids_of(stops.get(w, w)) for w in batch.column(0).to_pylist()], pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), ids], names=["word", "n", "ids"])
+
+    encoded = words.mapInArrow(encode_each, "word string, n bigint, ids array<int>")
     each = encoded.select("*", F.posexplode_outer("ids").alias("at", "id"))
-    each = each.join(F.broadcast(pieces(words.sparkSession, path)), "id", "left").select("word", "n", "key", "ids", "at", "piece")
+    each = each.join(F.broadcast(pieces(words.sparkSession, path)), "id", "left").select("word", "n", "ids", "at", "piece")
 
     def put_together(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """The rows of a word follow each other in their order: the join is by broadcast, and nothing is exchanged."""
+        names = word_encoder(path).special
         head: list = []
         parts: list[bytes] = []
         for batch in batches:
             out: list[list] = []
-            for word, n, key, ids, at, piece in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for word, n, ids, at, piece in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if not at:
                     if head:
-                        out.append([*head, b"".join(parts)])
-                    head, parts = [word, n, key, ids], []
+                        out.append(_whole(head, parts, names))
+                    head, parts = [word, n, ids], []
                 parts.append(piece or b"")
             if out:
                 yield _rows(out)
         if head:
-            yield _rows([[*head, b"".join(parts)]])
+            yield _rows([_whole(head, parts, names)])
 
     return each.mapInArrow(put_together, _WORD)
 
 
+def _whole(head: list, parts: list[bytes], special: dict[str, int]) -> list:
+    """A row of the table; bytes that the ids give back unaltered are null, but for special tokens, which a block holds as stop points."""
+    raw = b"".join(parts)
+    return [*head, None if raw == head[0].encode() and head[0] not in special else raw]
+
+
 def _rows(rows: list[list]) -> pa.RecordBatch:
-    kinds = [pa.string(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary()]
-    return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["word", "n", "key", "ids", "piece"])
+    kinds = [pa.string(), pa.int64(), pa.list_(pa.int32()), pa.binary()]
+    return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["word", "n", "ids", "piece"])
 
 
 class Lexicon:
-    """Ids and bytes of some words by key, for many words at once."""
+    """Ids and bytes of some words by an ascending key, for many words at once."""
 
     def __init__(self, key: np.ndarray, ids: pa.ListArray, piece: pa.BinaryArray):
         order = np.argsort(key, kind="stable")
         self.keys = key[order]
         ids, piece = ids.take(pa.array(order)), piece.take(pa.array(order))
         self.ids, self.id_offs = ids.flatten().to_numpy(zero_copy_only=False).astype(np.uint32), ids.offsets.to_numpy().astype(np.int64) - ids.offsets[0].as_py()
-        size = pc.binary_length(piece).to_numpy(zero_copy_only=False).astype(np.int64)
-        self.bytes = np.frombuffer(b"".join(piece.to_pylist()), dtype=np.uint8)
+        self.same = piece.is_null().to_numpy(zero_copy_only=False)  # bytes are those of the word
+        size = pc.fill_null(pc.binary_length(piece), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        self.bytes = np.frombuffer(b"".join(x or b"" for x in piece.to_pylist()), dtype=np.uint8)
         self.byte_offs = np.concatenate([[0], np.cumsum(size)])
 
     def find(self, keys: np.ndarray) -> np.ndarray:
@@ -157,16 +166,20 @@ class Lexicon:
         return np.where(self.keys[at] == keys, at, -1)
 
     @staticmethod
-    def of(table: pa.Table) -> Lexicon:
-        """From columns key, ids, piece."""
+    def of(table: pa.Table, path: str) -> Lexicon:
+        """From columns word, ids, piece; by the hashes of the words."""
         table = table.combine_chunks()
         one = lambda c, kind: table.column(c).chunk(0) if table.num_rows else pa.array([], kind)
-        return Lexicon(one("key", pa.int64()).to_numpy().view(np.uint64), one("ids", pa.list_(pa.int32())), one("piece", pa.binary()))
+        stops = {name: chr(0xD801 + i) for i, name in enumerate(word_encoder(path).names)}
+        inner = [stops.get(w, w) for w in table.column("word").to_pylist()]
+        end = np.cumsum(np.array([len(w) for w in inner], dtype=np.int64))
+        lo = np.concatenate([[0], end])[:-1]
+        return Lexicon(word_keys(points_of("".join(inner)), lo, end), one("ids", pa.list_(pa.int32())), one("piece", pa.binary()))
 
 
-def common_words(table: DataFrame, max_bytes: int) -> tuple[Lexicon, DataFrame]:
+def common_words(table: DataFrame, path: str, max_bytes: int) -> tuple[Lexicon, DataFrame]:
     """The commonest words of ``word_table`` that fit ``max_bytes``, by classes of frequency, and the table of the others."""
-    size = F.lit(24) + 4 * F.size("ids") + F.octet_length("piece")
+    size = F.lit(24) + 4 * F.size("ids") + F.octet_length("word")
     cls = F.floor(F.log2("n") * 16).cast("int")
     classes = table.groupBy(cls.alias("c")).agg(F.sum(size).alias("bytes")).orderBy(F.desc("c")).collect()  # some thousand at most
     total, least = 0, None
@@ -176,7 +189,7 @@ def common_words(table: DataFrame, max_bytes: int) -> tuple[Lexicon, DataFrame]:
             break
         least = r["c"]
     chosen = table.where(cls >= least) if least is not None else table.limit(0)
-    return Lexicon.of(chosen.select("key", "ids", "piece").toArrow()), table if least is None else table.where(cls < least)
+    return Lexicon.of(chosen.select("word", "ids", "piece").toArrow(), path), table if least is None else table.where(cls < least)
 
 
 def _packed(part: pa.RecordBatch) -> tuple[int, bytes]:
@@ -195,7 +208,7 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
     """``emit(block, ids, ids of each text, bytes, bytes of each text)`` for every block of documents."""
     spark, docs = docs.sparkSession, prune(docs, id_col, text_col)
     table = materialise(word_table(distinct_words(docs, id_col, text_col, path), path), "words")
-    lexicon, others = common_words(table, head_bytes)
+    lexicon, others = common_words(table, path, head_bytes)
     shared = spark.sparkContext.broadcast(lexicon)
 
     def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -203,9 +216,9 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
         for part in chunks(batches, text_col):
             block, _ = _packed(part)
             words = split_words(_texts(part), path)
-            some = [_shown(words[j], names) for j in np.flatnonzero(head.find(words.keys) < 0).tolist()]
-            if some:
-                yield pa.RecordBatch.from_arrays([pa.array([block] * len(some), pa.int64()), pa.array(some, pa.string())], names=["block", "word"])
+            some = np.flatnonzero(head.find(words.keys) < 0)
+            if len(some):
+                yield pa.RecordBatch.from_arrays([pa.array([block] * len(some), pa.int64()), pa.array(some.astype(np.int32)), pa.array([_shown(words[j], names) for j in some.tolist()], pa.string())], names=["block", "at", "word"])
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         squeeze = zstandard.ZstdCompressor(level=7)
@@ -213,8 +226,8 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
             block, raw = _packed(part)
             yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([squeeze.compress(raw)], pa.binary())], names=["block", "raw"])
 
-    needed = docs.mapInArrow(rare, "block bigint, word string").join(others.select("word", "key", "ids", "piece"), "word")
-    needed = needed.groupBy("block").agg(F.collect_list(F.struct("key", "ids", "piece")).alias("found"))  # as many as one block has
+    needed = docs.mapInArrow(rare, "block bigint, at int, word string").join(others.select("word", "ids", "piece"), "word")
+    needed = needed.groupBy("block").agg(F.collect_list(F.struct("at", "ids", "piece")).alias("found"))  # as many as one block has
     blocks = docs.mapInArrow(pack, "block bigint, raw binary").join(needed, "block", "left").select("raw", "found")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -222,38 +235,46 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
         for batch in batches:
             for row in range(batch.num_rows):
                 found = batch.column(1).slice(row, 1).flatten()
-                tail = Lexicon(found.field("key").to_numpy().view(np.uint64), found.field("ids"), found.field("piece"))
+                tail = Lexicon(found.field("at").to_numpy(), found.field("ids"), found.field("piece"))
                 for part in pa.ipc.open_stream(unpack.decompress(batch.column(0)[row].as_py())):
-                    yield emit(part, *_assemble(split_words(_texts(part), path), part.num_rows, (head, tail), path))
+                    yield emit(part, *_assemble(split_words(_texts(part), path), part.num_rows, head, tail, path))
 
     return blocks.mapInArrow(run, schema)
 
 
-def _assemble(words: Words, n_texts: int, lexicons: tuple[Lexicon, ...], path: str) -> tuple[np.ndarray, ...]:
-    """Ids and bytes of all words in order, by position, and how many each text has."""
-    slot = np.full(len(words.keys), -1, dtype=np.int64)
-    parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
-    used = 0
-    for lexicon in lexicons:
-        at = lexicon.find(words.keys)
+def _assemble(words: Words, n_texts: int, head: Lexicon, tail: Lexicon, path: str) -> tuple[np.ndarray, ...]:
+    """Ids and bytes of all words in order, by position, and how many each text has; ``tail`` goes by place among the distinct words."""
+    n = len(words.keys)
+    width = sum((points_of(words.whole) >= least).astype(np.int64) for least in (0, 0x80, 0x800, 0x10000))
+    place = np.concatenate([[0], np.cumsum(width)])
+    begin, size = place[words.lo[words.first]], (place[words.hi] - place[words.lo])[words.first]  # of the words' own bytes
+    raws, base = [np.frombuffer(words.whole.encode("utf-8", "surrogatepass"), dtype=np.uint8)], int(place[-1])
+    slot, used, ids, id_sizes = np.full(n, -1, dtype=np.int64), 0, [], []
+    for lexicon, at in ((head, head.find(words.keys)), (tail, tail.find(np.arange(n)))):
         new = np.flatnonzero((slot < 0) & (at >= 0))
+        at = at[new]
         slot[new] = used + np.arange(len(new))
         used += len(new)
-        parts.append((*ragged_take(lexicon.ids, lexicon.id_offs, at[new]), *ragged_take(lexicon.bytes, lexicon.byte_offs, at[new])))
+        for out, x in zip((ids, id_sizes), ragged_take(lexicon.ids, lexicon.id_offs, at), strict=True):
+            out.append(x)
+        stored = ~lexicon.same[at]
+        begin[new[stored]] = base + lexicon.byte_offs[at[stored]]
+        size[new[stored]] = np.diff(lexicon.byte_offs)[at[stored]]
+        raws.append(lexicon.bytes)
+        base += len(lexicon.bytes)
     for j in np.flatnonzero(slot < 0).tolist():  # only if a recomputed task cut its blocks in another way
         enc = word_encoder(path)
-        ids = np.array(enc.ids_of(words[j]), dtype=np.uint32)
-        raw = np.frombuffer(_shown(words[j], enc.names).encode(), dtype=np.uint8)
-        slot[j], used = used, used + 1
-        parts.append((ids, np.array([len(ids)]), raw, np.array([len(raw)])))
+        found, raw = np.array(enc.ids_of(words[j]), dtype=np.uint32), np.frombuffer(_shown(words[j], enc.names).encode(), dtype=np.uint8)
+        slot[j], begin[j], size[j], used, base = used, base, len(raw), used + 1, base + len(raw)
+        for out, x in zip((ids, id_sizes, raws), (found, [len(found)], raw), strict=True):
+            out.append(x)
     where = slot[words.inverse]
-    out: list[np.ndarray] = []
-    for k in (0, 2):
-        flat = np.concatenate([p[k] for p in parts])
-        offs = np.concatenate([[0], np.cumsum(np.concatenate([p[k + 1] for p in parts]))]).astype(np.int64)
-        values, lens = ragged_take(flat, offs, where)
-        out += [values, np.bincount(words.text, weights=lens, minlength=n_texts).astype(np.int64)]
-    return tuple(out)
+    offs = np.concatenate([[0], np.cumsum(np.concatenate(id_sizes))]).astype(np.int64)
+    values, counts = ragged_take(np.concatenate(ids), offs, where)
+    lens = size[words.inverse]
+    index = np.arange(int(lens.sum())) + np.repeat(begin[words.inverse] - (np.cumsum(lens) - lens), lens)
+    per_text = (np.bincount(words.text, weights=x, minlength=n_texts).astype(np.int64) for x in (counts, lens))
+    return values, next(per_text), np.concatenate(raws)[index], next(per_text)
 
 
 def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, head_bytes: int = HEAD_BYTES) -> DataFrame:
