@@ -179,7 +179,7 @@ class Lexicon:
 
 def common_words(table: DataFrame, path: str, max_bytes: int) -> tuple[Lexicon, DataFrame]:
     """The commonest words of ``word_table`` that fit ``max_bytes``, by classes of frequency, and the table of the others."""
-    size = F.lit(24) + 4 * F.size("ids") + F.octet_length("word")
+    size = F.lit(25) + 4 * F.size("ids") + F.coalesce(F.octet_length("piece"), F.lit(0))  # as held in a Lexicon
     cls = F.floor(F.log2("n") * 16).cast("int")
     classes = table.groupBy(cls.alias("c")).agg(F.sum(size).alias("bytes")).orderBy(F.desc("c")).collect()  # some thousand at most
     total, least = 0, None
