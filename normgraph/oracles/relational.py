@@ -10,7 +10,7 @@ GEO = "customer join nation on c_nationkey = n_nationkey join region on n_region
 EV = "events"
 W = "(partition by user_id order by ts, event_id)"
 _props = ", ".join(f"('{n}')" for n in sorted({r[2] for r in registry.rows("star") if r[1] == "property"}))
-_kinds = {k: sum(r[1] == k for r in registry.rows("star")) for k in ("class", "property")}
+_entries = ", ".join(f"('{k}', '{m}', {sum((r[1], r[2]) == (k, m) for r in registry.rows('star'))})" for k, m in sorted({(r[1], r[2]) for r in registry.rows("star")}))
 
 SQL: dict[str, str] = {
     "op_scan_parquet": "select count(*) as n, min(o_orderkey) as lo, max(o_orderkey) as hi from orders",
@@ -18,7 +18,7 @@ SQL: dict[str, str] = {
     "op_scan_csv": "select * from nation",
     "op_scan_orc": "select * from nation",
     "op_scan_text": "select n_name from nation",
-    "op_scan_registry": " union all ".join(f"select '{k}' as kind, cast({v} as bigint) as n" for k, v in _kinds.items()),
+    "op_scan_registry": f"with {P.corpus()}, e as (select * from (values {_entries}) v(kind, name, n)), u as (select 'class' as kind, gold_class as name from corpus union all select 'property', gold_pred from corpus), c as (select kind, name, count(*) as n_used from u group by all) select kind, cast(sum(n) as bigint) as n, cast(coalesce(sum(n_used), 0) as bigint) as n_sentences from e left join c using (kind, name) group by kind",
     "op_sink_partitioned": f"select count(*) as n, sum({MD.format('o_totalprice')}) as total from orders where o_orderstatus = 'F'",
     "op_project": "select l_orderkey, l_linenumber, cast(cast(l_extendedprice as decimal(18,2)) * (1 - cast(l_discount as decimal(18,2))) as double) as net, case when l_quantity > 25 then 'big' else 'small' end as size from lineitem",
     "op_filter": "select o_orderkey, o_totalprice, o_orderstatus, o_orderpriority from orders where o_totalprice between 10000 and 200000 and o_orderstatus in ('F', 'O') and o_orderpriority is distinct from '5-LOW'",
