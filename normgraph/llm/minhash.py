@@ -205,15 +205,18 @@ def _classes(docs: DataFrame, cfg: NearDupConfig) -> DataFrame:
     labels = materialise(labels.unionByName(same_id.select(F.col("b").alias("rep"), F.col("b").alias("label"))).distinct(), "labels")
 
     tested = buckets.where("rep <> first").select(F.col("rep").alias("a"), F.col("first").alias("b")).distinct()
-    edges = materialise(verify(tested, texts, cfg).unionByName(same_id.where("a <> b")), "edges")
-    labels = materialise(connect(labels, edges), "labels")
+    with Workspace() as space:  # each round leaves its labels only
+        edges = materialise(verify(tested, texts, cfg).unionByName(same_id.where("a <> b")), "edges")
+        labels = space.result(connect(labels, edges), "labels")
 
     for turn, n in enumerate(cfg.centres):
-        again = _centre_pairs(_mixed_buckets(buckets, labels), n, turn)
-        labels = materialise(connect(labels, materialise(verify(again, texts, cfg), "edges")), "labels")
+        with Workspace() as space:
+            again = _centre_pairs(_mixed_buckets(buckets, labels), n, turn)
+            labels = space.result(connect(labels, materialise(verify(again, texts, cfg), "edges")), "labels")
 
-    third = _prefix_pairs(_mixed_buckets(buckets, labels).select("rep", "label").distinct(), texts, cfg)
-    labels = materialise(connect(labels, materialise(verify(third, texts, cfg), "edges")), "labels")
+    with Workspace() as space:
+        third = _prefix_pairs(_mixed_buckets(buckets, labels).select("rep", "label").distinct(), texts, cfg)
+        labels = space.result(connect(labels, materialise(verify(third, texts, cfg), "edges")), "labels")
 
     of_set = classes.join(labels, "rep").select("set_hash", "label")
     by_doc = members.join(of_set, "set_hash").groupBy("doc_id").agg(F.min("label").alias("component"))
@@ -291,7 +294,8 @@ def _prefix_pairs(rest: DataFrame, texts: DataFrame, cfg: NearDupConfig) -> Data
     distance of the odd sketches.  Each of these bounds is exact, and only pairs that pass all of them leave the task.
     """
     kind = dict(rest.dtypes)["rep"]
-    first = materialise(_prefix_rows(rest, texts, cfg), "prefix")
+    with Workspace() as space:
+        first = space.result(_prefix_rows(rest, texts, cfg), "prefix")
     # a shingle whose texts are all in one component pairs nothing
     groups = first.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi")
     parts = F.ceil(F.col("n") / BLOCK).cast("int")

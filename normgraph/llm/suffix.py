@@ -196,7 +196,8 @@ HEAVY = 2000  # a window with more than one place in so many of all is broadcast
 
 def repeated_windows(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     """``(doc_id, start, first_doc, first_start)`` of every repeated window; the first is the least place."""
-    found = materialise(windows(docs, extensible(docs, cfg), cfg), "windows")
+    with Workspace() as space:  # the suffixes go before the windows are grouped
+        found = space.result(windows(docs, extensible(docs, cfg), cfg), "windows")
     first = F.min(F.struct("doc_id", "start"))
     last = F.max("doc_id").alias("last_doc") if cfg.across else F.max(F.struct("doc_id", "start")).alias("last")
     groups = found.groupBy("h", "h2").agg(first.alias("first"), last, F.count(F.lit(1)).alias("n"))

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from normgraph.llm.common import chunks, prune, text_bytes
+from normgraph.llm.common import _trim, chunks, prune, text_bytes
 from normgraph.llm.wordhash import LOWER
 
 #: Bytes that words keep: a-z and everything past ASCII.
@@ -220,7 +220,9 @@ def training_rows(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = Toxi
 
 def fit(docs: DataFrame, labels: DataFrame, cfg: ToxicityConfig = ToxicityConfig()) -> ToxicityModel:
     """Train on the bounded sample, calibrated to the class share of all eligible labels."""
-    return train(training_rows(docs, labels, cfg), cfg, sampling_shift(labels, cfg))
+    model = train(training_rows(docs, labels, cfg), cfg, sampling_shift(labels, cfg))
+    _trim()  # the sample's memory isn't needed again
+    return model
 
 
 def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
