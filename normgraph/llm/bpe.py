@@ -70,6 +70,17 @@ def word_starts(points: np.ndarray) -> np.ndarray:
     return np.flatnonzero(start)
 
 
+def joined(texts: list[str], names: list[str]) -> str:
+    """All texts in one string, the special tokens ``names`` as stop points of their own, each text ended by the stop point D800."""
+    out = []
+    for t in texts:
+        for i, name in enumerate(names):
+            if name in t:
+                t = t.replace(name, chr(0xD801 + i))
+        out.append(t)
+    return "\ud800".join(out) + "\ud800"
+
+
 class WordEncoder:
     """Cuts texts into words and encodes single words; holds nothing but the vocabulary."""
 
@@ -88,14 +99,8 @@ class WordEncoder:
         self.alphabet = {b: chr(b) for b in shown} | {b: chr(256 + i) for i, b in enumerate(hidden)}
 
     def join(self, texts: list[str]) -> str:
-        """All texts in one string, special tokens as stop points of their own, each text ended by the stop point D800."""
-        joined = []
-        for t in texts:
-            for i, name in enumerate(self.names):
-                if name in t:
-                    t = t.replace(name, chr(0xD801 + i))
-            joined.append(t)
-        return "\ud800".join(joined) + "\ud800"
+        """``joined`` with the vocabulary's special tokens."""
+        return joined(texts, self.names)
 
     def ids_of(self, word: str) -> list[int]:
         """Ids of one word of ``word_starts``; a stop point is its special token, or nothing at the end of a text."""

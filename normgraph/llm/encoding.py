@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from normgraph.llm.bpe import points_of, word_encoder, word_keys, word_starts
+from normgraph.llm.bpe import joined, points_of, word_encoder, word_keys, word_starts
 from normgraph.llm.common import Workspace, chunks, materialise, prune, ragged_take, runs_of, text_bytes
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -59,8 +59,9 @@ class Words:
         return self.whole[self.lo[f] : self.hi[f]]
 
 
-def split_words(texts: list[str], path: str) -> Words:
-    whole = word_encoder(path).join(texts)
+def split_words(texts: list[str], names: list[str]) -> Words:
+    """``names`` are the special tokens: workers that only split need no tokenizer, which takes much of their memory."""
+    whole = joined(texts, names)
     points = points_of(whole)
     lo = word_starts(points)
     hi = np.append(lo[1:], len(points))
@@ -79,10 +80,11 @@ def _shown(word: str, names: list[str]) -> str:
 def distinct_words(docs: DataFrame, id_col: str, text_col: str, path: str) -> DataFrame:
     """``(word, n)``: every distinct word and how often it stands in all texts."""
 
+    names = word_encoder(path).names
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = word_encoder(path).names
         for part in chunks(batches, text_col):
-            words = split_words(_texts(part), path)
+            words = split_words(_texts(part), names)
             yield pa.RecordBatch.from_arrays([pa.array([_shown(words[j], names) for j in range(len(words.keys))], pa.string()), pa.array(words.count.astype(np.int64))], names=["word", "n"])
 
     return prune(docs, id_col, text_col).mapInArrow(run, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
@@ -109,13 +111,13 @@ def word_table(words: DataFrame, path: str) -> DataFrame:
             ids = pa.array([enc.ids_of(stops.get(w, w)) for w in batch.column(0).to_pylist()], pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), ids], names=["word", "n", "ids"])
 
+    names = word_encoder(path).special
     encoded = words.mapInArrow(encode_each, "word string, n bigint, ids array<int>")
     each = encoded.select("*", F.posexplode_outer("ids").alias("at", "id"))
     each = each.join(F.broadcast(pieces(words.sparkSession, path)), "id", "left").select("word", "n", "ids", "at", "piece")
 
     def put_together(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """The rows of a word follow each other in their order: the join is by broadcast, and nothing is exchanged."""
-        names = word_encoder(path).special
         head: list = []
         parts: list[bytes] = []
         for batch in batches:
@@ -145,18 +147,23 @@ def _rows(rows: list[list]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["word", "n", "ids", "piece"])
 
 
+def _narrow(x: np.ndarray) -> np.ndarray:
+    """Numbers from 0 in the narrowest type that holds them."""
+    return x.astype(np.min_scalar_type(int(x.max()) if len(x) else 0))
+
+
 class Lexicon:
-    """Ids and bytes of some words by an ascending key, for many words at once."""
+    """Ids and bytes of some words by an ascending key, for many words at once; each worker holds one, so its numbers are narrow."""
 
     def __init__(self, key: np.ndarray, ids: pa.ListArray, piece: pa.BinaryArray):
         order = np.argsort(key, kind="stable")
         self.keys = key[order]
         ids, piece = ids.take(pa.array(order)), piece.take(pa.array(order))
-        self.ids, self.id_offs = ids.flatten().to_numpy(zero_copy_only=False).astype(np.uint32), ids.offsets.to_numpy().astype(np.int64) - ids.offsets[0].as_py()
+        self.ids, self.id_offs = _narrow(ids.flatten().to_numpy(zero_copy_only=False)), _narrow(ids.offsets.to_numpy() - ids.offsets[0].as_py())
         self.same = piece.is_null().to_numpy(zero_copy_only=False)  # bytes are those of the word
         size = pc.fill_null(pc.binary_length(piece), 0).to_numpy(zero_copy_only=False).astype(np.int64)
         self.bytes = np.frombuffer(b"".join(x or b"" for x in piece.to_pylist()), dtype=np.uint8)
-        self.byte_offs = np.concatenate([[0], np.cumsum(size)])
+        self.byte_offs = _narrow(np.concatenate([[0], np.cumsum(size)]))
 
     def find(self, keys: np.ndarray) -> np.ndarray:
         """Row of each key, -1 for those that aren't here."""
@@ -206,16 +213,16 @@ Emit = Callable[[pa.RecordBatch, np.ndarray, np.ndarray, np.ndarray, np.ndarray]
 
 def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit: Emit, schema: str, head_bytes: int) -> DataFrame:
     """``emit(block, ids, ids of each text, bytes, bytes of each text)`` for every block of documents."""
-    spark, docs = docs.sparkSession, prune(docs, id_col, text_col)
+    spark, docs, names = docs.sparkSession, prune(docs, id_col, text_col), word_encoder(path).names
     table = materialise(word_table(distinct_words(docs, id_col, text_col, path), path), "words")
     lexicon, others = common_words(table, path, head_bytes)
     shared = spark.sparkContext.broadcast(lexicon)
 
     def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names, head = word_encoder(path).names, shared.value
+        head = shared.value
         for part in chunks(batches, text_col):
             block, _ = _packed(part)
-            words = split_words(_texts(part), path)
+            words = split_words(_texts(part), names)
             some = np.flatnonzero(head.find(words.keys) < 0)
             if len(some):
                 yield pa.RecordBatch.from_arrays([pa.array([block] * len(some), pa.int64()), pa.array(some.astype(np.int32)), pa.array([_shown(words[j], names) for j in some.tolist()], pa.string())], names=["block", "at", "word"])
@@ -237,7 +244,7 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
                 found = batch.column(1).slice(row, 1).flatten()
                 tail = Lexicon(found.field("at").to_numpy(), found.field("ids"), found.field("piece"))
                 for part in pa.ipc.open_stream(unpack.decompress(batch.column(0)[row].as_py())):
-                    yield emit(part, *_assemble(split_words(_texts(part), path), part.num_rows, head, tail, path))
+                    yield emit(part, *_assemble(split_words(_texts(part), names), part.num_rows, head, tail, path))
 
     return blocks.mapInArrow(run, schema)
 
@@ -245,8 +252,11 @@ def _through_words(docs: DataFrame, id_col: str, text_col: str, path: str, emit:
 def _assemble(words: Words, n_texts: int, head: Lexicon, tail: Lexicon, path: str) -> tuple[np.ndarray, ...]:
     """Ids and bytes of all words in order, by position, and how many each text has; ``tail`` goes by place among the distinct words."""
     n = len(words.keys)
-    width = sum((points_of(words.whole) >= least).astype(np.int64) for least in (0, 0x80, 0x800, 0x10000))
-    place = np.concatenate([[0], np.cumsum(width)])
+    points = points_of(words.whole)
+    width = np.ones(len(points), dtype=np.uint8)
+    for least in (0x80, 0x800, 0x10000):
+        width += points >= least
+    place = np.concatenate([[0], np.cumsum(width, dtype=np.int64)])
     begin, size = place[words.lo[words.first]], (place[words.hi] - place[words.lo])[words.first]  # of the words' own bytes
     raws, base = [np.frombuffer(words.whole.encode("utf-8", "surrogatepass"), dtype=np.uint8)], int(place[-1])
     slot, used, ids, id_sizes = np.full(n, -1, dtype=np.int64), 0, [], []
@@ -255,11 +265,12 @@ def _assemble(words: Words, n_texts: int, head: Lexicon, tail: Lexicon, path: st
         at = at[new]
         slot[new] = used + np.arange(len(new))
         used += len(new)
-        for out, x in zip((ids, id_sizes), ragged_take(lexicon.ids, lexicon.id_offs, at), strict=True):
-            out.append(x)
+        found, lens = ragged_take(lexicon.ids, lexicon.id_offs, at)
+        ids.append(found.astype(np.uint32))
+        id_sizes.append(lens)
         stored = ~lexicon.same[at]
-        begin[new[stored]] = base + lexicon.byte_offs[at[stored]]
-        size[new[stored]] = np.diff(lexicon.byte_offs)[at[stored]]
+        begin[new[stored]], end = (base + lexicon.byte_offs[at[stored] + i].astype(np.int64) for i in (0, 1))
+        size[new[stored]] = end - begin[new[stored]]
         raws.append(lexicon.bytes)
         base += len(lexicon.bytes)
     for j in np.flatnonzero(slot < 0).tolist():  # only if a recomputed task cut its blocks in another way
@@ -272,7 +283,9 @@ def _assemble(words: Words, n_texts: int, head: Lexicon, tail: Lexicon, path: st
     offs = np.concatenate([[0], np.cumsum(np.concatenate(id_sizes))]).astype(np.int64)
     values, counts = ragged_take(np.concatenate(ids), offs, where)
     lens = size[words.inverse]
-    index = np.arange(int(lens.sum())) + np.repeat(begin[words.inverse] - (np.cumsum(lens) - lens), lens)
+    narrow = np.int32 if base + lens.sum() < 1 << 31 else np.int64
+    index = np.repeat((begin[words.inverse] - (np.cumsum(lens) - lens)).astype(narrow), lens)
+    index += np.arange(len(index), dtype=narrow)
     per_text = (np.bincount(words.text, weights=x, minlength=n_texts).astype(np.int64) for x in (counts, lens))
     return values, next(per_text), np.concatenate(raws)[index], next(per_text)
 

@@ -555,3 +555,11 @@ def test_repeats_with_unlike_neighbours(spark):
     left = suffix.remove_repeats(frame(spark, rows).withColumn("_cut", F.lit(1)).withColumn("_cut_id", F.lit(2)).withColumn("ranges", F.lit(3)), cfg)
     assert left.columns == ["doc_id", "text", "_cut", "_cut_id", "ranges"]
     assert not all_places([(r["doc_id"], r["text"]) for r in left.collect()])
+
+
+def test_head_words_are_held_in_narrow_numbers():
+    import pyarrow as pa
+
+    lexicon = encoding.Lexicon(np.array([9, 3], dtype=np.uint64), pa.array([[7, 40000], [1]], pa.list_(pa.int32())), pa.array([None, b"ab"], pa.binary()))
+    assert lexicon.ids.tolist() == [1, 7, 40000] and lexicon.ids.itemsize == 2
+    assert lexicon.id_offs.tolist() == [0, 1, 3] and lexicon.byte_offs.tolist() == [0, 2, 2] and lexicon.byte_offs.itemsize == 1
