@@ -557,6 +557,16 @@ def test_repeats_with_unlike_neighbours(spark):
     assert not all_places([(r["doc_id"], r["text"]) for r in left.collect()])
 
 
+def test_shuffle_files_go_when_a_table_is_written(spark):
+    from normgraph.llm import common
+
+    files = lambda: {f for f in spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString("|").split("|") if "shuffle_" in f}
+    before = files()
+    out = common.materialise(spark.range(1000).repartition(3, "id").groupBy((F.col("id") % 7).alias("k")).count(), "shuffled")
+    assert not files() - before
+    assert out.count() == 7
+
+
 def test_head_words_are_held_in_narrow_numbers():
     import pyarrow as pa
 
