@@ -4,18 +4,21 @@ Suffixes are kept at content-selected positions only: the minimiser of every win
 so that two copies of a passage of ``words`` words keep at least one common suffix.  A suffix is a string of word
 symbols (four bits of each word's hash); the suffixes are sorted over range partitions and compared with their
 neighbours, which gives how far each can be extended to the right, and, sorted again within equal beginnings by what
-stands before them, to the left.  Only windows of ``words`` words that these bounds admit are taken from the texts,
-and compared by a 96-bit hash of their words.  Overlapping repeated windows merge into spans.
+stands before them, to the left.  Where only passages of several documents count, the neighbours are the nearest
+suffixes of other documents.  Only windows of ``words`` words that these bounds admit are taken from the texts, and
+compared by a 96-bit hash of their words; a document sends each of its distinct windows once, with all its places.
+Overlapping repeated windows merge into spans.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from normgraph.llm.common import Workspace, chunks, materialise, prune, text_bytes
@@ -98,11 +101,13 @@ def anchors(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     return prune(docs, "doc_id", "text").where("doc_id is not null").mapInArrow(run, f"suffix binary, before binary, doc_id {kind}, pos int")
 
 
-def _with_neighbours(ordered: DataFrame, column: str, within: int, schema: str, names: list[str], reach: str, least: int) -> DataFrame:
+def _with_neighbours(ordered: DataFrame, column: str, within: int, schema: str, names: list[str], reach: str, least: int, across: bool) -> DataFrame:
     """Rows of a sorted frame with ``reach``: the symbols of ``column`` that a row shares with one of its neighbours.
 
     ``within`` first bytes of ``suffix`` must be equal.  Rows that share less than ``least`` go.  The first and the
-    last row of a partition may have their neighbour in another one; they count as sharing everything.
+    last row of a partition may have their neighbour in another one; they count as sharing everything.  With ``across``,
+    a neighbour is the nearest row of another document; behind the last run of a batch it counts as sharing
+    as much as that run's rows share with its end, so that no run is held.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -126,7 +131,13 @@ def _with_neighbours(ordered: DataFrame, column: str, within: int, schema: str,
                 same = np.where((key[1:] == key[:-1]).all(1), same, 0)
             first = own.shape[1] if held is None else held_reach
             left = np.concatenate([[first], same])
-            right = np.concatenate([same, [0]])
+            right = np.concatenate([same, [own.shape[1]]])
+            if across:
+                ids = both.column(both.schema.get_field_index("doc_id"))
+                other = pc.not_equal(ids.slice(0, len(ids) - 1), ids.slice(1)).to_numpy(zero_copy_only=False)
+                fall = np.concatenate([[0], np.cumsum(other)]) << 20  # beyond every reach, so that the running minimum starts anew in each run
+                left = np.minimum.accumulate(left - fall) + fall
+                right = (np.minimum.accumulate((right + fall)[::-1])[::-1]) - fall
             found = np.maximum(left, right)
             yield from put(both.slice(0, both.num_rows - 1), found[:-1])
             held, held_reach = both.slice(both.num_rows - 1, 1), int(left[-1])
@@ -141,22 +152,25 @@ def extensible(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     """``(doc_id, pos, reach_right, reach_left)``: suffixes that agree with a neighbour in the key, and their extension.
 
     In suffix order the longest beginning that a suffix shares with any other is shared with a neighbour; the same
-    holds for what stands before it, in the order of that.  Range partitions split even one very frequent suffix.
+    holds for what stands before it, in the order of that, and for the nearest suffixes of other documents.  Range partitions split even one very frequent suffix.
     """
     kind = dict(docs.dtypes)["doc_id"]
     order = ["suffix", "before", "doc_id", "pos"]
     ordered = anchors(docs, cfg).repartitionByRange(*order).sortWithinPartitions(*order)
-    right = _with_neighbours(ordered, "suffix", 0, f"suffix binary, before binary, doc_id {kind}, pos int, reach_right int", order, "reach_right", cfg.key_words)
+    right = _with_neighbours(ordered, "suffix", 0, f"suffix binary, before binary, doc_id {kind}, pos int, reach_right int", order, "reach_right", cfg.key_words, cfg.across)
     right = materialise(right, "suffixes")
     key = F.substring("suffix", 1, cfg.key_words // 2)
     order = [key, F.col("before"), F.col("doc_id"), F.col("pos")]
     ordered = right.repartitionByRange(*order).sortWithinPartitions(*order)
     names = ["doc_id", "pos", "reach_right"]
-    return _with_neighbours(ordered, "before", cfg.key_words // 2, f"doc_id {kind}, pos int, reach_right int, reach_left int", names, "reach_left", 0)
+    return _with_neighbours(ordered, "before", cfg.key_words // 2, f"doc_id {kind}, pos int, reach_right int, reach_left int", names, "reach_left", 0, cfg.across)
 
 
 def windows(docs: DataFrame, places: DataFrame, cfg: RepeatConfig) -> DataFrame:
-    """``(h, h2, doc_id, start)``: hashes of the windows of ``words`` words around suffixes that reach far enough."""
+    """``(h, h2, doc_id, start, more)``: hashes of the windows of ``words`` words around suffixes that reach far enough.
+
+    One row for each distinct window of a document, with its first place and the later ones, null where there is none.
+    """
     kind = dict(docs.dtypes)["doc_id"]
     lo = F.col("pos") - F.least("reach_left", F.lit(cfg.words - cfg.key_words))
     hi = F.col("pos") - F.greatest(F.lit(0), cfg.words - F.col("reach_right"))
@@ -185,27 +199,54 @@ def windows(docs: DataFrame, places: DataFrame, cfg: RepeatConfig) -> DataFrame:
                 starts.append(start)
                 rows.append(np.full(len(start), r))
             if rows:
-                both = as_long(np.ascontiguousarray(np.concatenate(hashes, axis=1)))
-                yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array((both[1] >> 32).astype(np.int32)), part.column(0).take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(starts).astype(np.int32))], names=["h", "h2", "doc_id", "start"])
+                yield _distinct(part.column(0), np.concatenate(rows), *np.concatenate(hashes, axis=1), np.concatenate(starts))
+
+    return some.mapInArrow(run, f"h bigint, h2 int, doc_id {kind}, start int, more array<int>")
 
-    return some.mapInArrow(run, f"h bigint, h2 int, doc_id {kind}, start int")
 
+def _distinct(ids: pa.Array, row: np.ndarray, one: np.ndarray, two: np.ndarray, start: np.ndarray) -> pa.RecordBatch:
+    """The distinct windows of each row; ``start`` ascends within a row."""
+    two = two >> np.uint64(32)
+    order = np.lexsort((two, one, row))
+    row, one, two, start = row[order], one[order], two[order], start[order].astype(np.int32)
+    new = np.ones(len(row), dtype=bool)
+    new[1:] = (row[1:] != row[:-1]) | (one[1:] != one[:-1]) | (two[1:] != two[:-1])
+    first = np.flatnonzero(new)
+    later = np.diff(first, append=len(row)) - 1
+    offs = pa.array(np.concatenate([[0], np.cumsum(later)]).astype(np.int32), mask=np.append(later == 0, False))
+    more = pa.ListArray.from_arrays(offs, pa.array(start[~new]))
+    cols = [pa.array(as_long(one[first])), pa.array(two[first].astype(np.uint32).view(np.int32)), ids.take(pa.array(row[first])), pa.array(start[first]), more]
+    return pa.RecordBatch.from_arrays(cols, names=["h", "h2", "doc_id", "start", "more"])
 
-HEAVY = 2000  # a window with more than one place in so many of all is broadcast; there are at most as many
+
+HEAVY = 2000  # a window with more than one row in so many of all is broadcast; there are at most as many
 
 
 def repeated_windows(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
-    """``(doc_id, start, first_doc, first_start)`` of every repeated window; the first is the least place."""
+    """``(doc_id, start, more, first_doc, first_start)`` of every repeated window; the first is the least place.
+
+    ``more`` has the later places of the same window in the document, or is null.
+    """
     with Workspace() as space:  # the suffixes go before the windows are grouped
         found = space.result(windows(docs, extensible(docs, cfg), cfg), "windows")
     first = F.min(F.struct("doc_id", "start"))
-    last = F.max("doc_id").alias("last_doc") if cfg.across else F.max(F.struct("doc_id", "start")).alias("last")
+    last = F.max("doc_id").alias("last_doc") if cfg.across else F.max(F.struct("doc_id", F.coalesce(F.element_at("more", -1), "start").alias("start"))).alias("last")
     groups = found.groupBy("h", "h2").agg(first.alias("first"), last, F.count(F.lit(1)).alias("n"))
     groups = groups.where("first.doc_id <> last_doc" if cfg.across else "first <> last")
     groups = materialise(groups.select("h", "h2", "n", F.col("first.doc_id").alias("first_doc"), F.col("first.start").alias("first_start")), "groups")
     heavy = F.broadcast(groups.where(F.col("n") * HEAVY > found.count()).drop("n"))
     rest = found.join(heavy.select("h", "h2"), ["h", "h2"], "left_anti").join(groups.drop("n"), ["h", "h2"])
-    return found.join(heavy, ["h", "h2"]).unionByName(rest).select("doc_id", "start", "first_doc", "first_start")
+    return found.join(heavy, ["h", "h2"]).unionByName(rest).select("doc_id", "start", "more", "first_doc", "first_start")
+
+
+def _every_place(hits: DataFrame, entry: Callable[[Column, Column], Column], *cols: str) -> DataFrame:
+    """``(doc_id, hits)``: the sorted entries of all places of each document; ``entry`` makes one from a window and a place.
+
+    Places are written out behind the exchange, which moves each distinct window of a document once.
+    """
+    by_doc = hits.groupBy("doc_id").agg(F.collect_list(F.struct("start", "more", *cols)).alias("hits"))
+    places = lambda x: F.concat(F.array(x["start"]), F.coalesce(x["more"], F.array().cast("array<int>")))
+    return by_doc.select("doc_id", F.sort_array(F.flatten(F.transform("hits", lambda x: F.transform(places(x), lambda p: entry(x, p))))).alias("hits"))
 
 
 def _flat(lists: pa.ListArray) -> tuple[np.ndarray, pa.StructArray]:
@@ -228,8 +269,8 @@ def repeated_spans(docs: DataFrame, cfg: RepeatConfig = RepeatConfig()) -> DataF
 
 def _spans(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     hits = repeated_windows(docs, cfg)
-    own = (F.col("first_doc") == F.col("doc_id")) & (F.col("first_start") == F.col("start"))
-    by_doc = hits.groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct("start", own.alias("own"), "first_doc"))).alias("hits"))
+    own = lambda x, p: (x["first_doc"] == F.col("doc_id")) & (x["first_start"] == p)
+    by_doc = _every_place(hits, lambda x, p: F.struct(p.alias("start"), own(x, p).alias("own"), x["first_doc"].alias("first_doc")), "first_doc", "first_start")
     kind = dict(docs.dtypes)["doc_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -257,10 +298,10 @@ def _cuts(docs: DataFrame, cfg: RepeatConfig) -> DataFrame:
     Every later window loses its words, except that one overlapping its own first copy (a text of a short
     period) loses only those behind that copy: the copy stays whole, and the window is no longer there.
     """
-    later = repeated_windows(docs, cfg).where("first_doc <> doc_id or first_start <> start")
-    over = (F.col("first_doc") == F.col("doc_id")) & (F.col("first_start") + cfg.words > F.col("start"))
-    begin = F.when(over, F.col("first_start") + cfg.words).otherwise(F.col("start"))
-    by_doc = later.groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct(begin.alias("a"), (F.col("start") + cfg.words).alias("b")))).alias("ranges"))
+    later = repeated_windows(docs, cfg).where("first_doc <> doc_id or first_start <> start or more is not null")
+    own = F.when(F.col("first_doc") == F.col("doc_id"), F.col("first_start"))  # of a window with its first copy in the document
+    by_doc = _every_place(later.withColumn("own", own), lambda x, p: F.struct(F.greatest(p, x["own"] + cfg.words).alias("a"), (p + cfg.words).alias("b")), "own")
+    by_doc = by_doc.withColumn("hits", F.filter("hits", lambda x: x["a"] < x["b"]))  # a first copy loses nothing
     kind = dict(docs.dtypes)["doc_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -557,6 +557,41 @@ def test_repeats_with_unlike_neighbours(spark):
     assert not all_places([(r["doc_id"], r["text"]) for r in left.collect()])
 
 
+def test_windows_are_sent_once_for_each_document(spark):
+    """A text of a short period sends its three distinct windows, with all their places, and not 131 rows."""
+    for across, rows in ((False, [(1, "x y z " * 60)]), (True, [(1, "x y z " * 60), (2, "a " + "x y z " * 60)])):
+        cfg = suffix.RepeatConfig(across=across)
+        d = frame(spark, rows)
+        got = [r for r in suffix.windows(d, suffix.extensible(d, cfg), cfg).collect() if r["doc_id"] == 1]
+        assert len(got) == len({(r["h"], r["h2"]) for r in got}) == 3
+        assert sorted(s for r in got for s in [r["start"], *(r["more"] or [])]) == list(range(131))
+
+
+def test_neighbours_of_other_documents(spark, monkeypatch):
+    """With ``across`` a suffix shares as much as with the nearest of another document, never less, whatever the batches."""
+    rng = random.Random(33)
+    rows = sorted((bytes(rng.choice((0, 1, 16, 17)) for _ in range(5)), b"", rng.randint(0, 3), i) for i in range(400))
+    rows += sorted((b"\x77" + bytes(rng.choice((0, 1)) for _ in range(4)), b"", 9, 1000 + i) for i in range(300))
+    d = spark.createDataFrame(rows, "suffix binary, before binary, doc_id long, pos int").coalesce(1)
+
+    def shared(a, b):
+        a, b = ([x for c in v for x in (c >> 4, c & 15)] for v in (a, b))
+        return next((i for i, (x, y) in enumerate(zip(a, b, strict=True)) if x != y), len(a))
+
+    want = {r[3]: max(shared(r[0], o[0]) for o in rows if o[2] != r[2]) for r in rows}
+    for size in (10000, 37):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+        try:
+            found = suffix._with_neighbours(d.sortWithinPartitions("suffix", "doc_id", "pos"), "suffix", 0, "pos int, reach int", ["pos"], "reach", 0, True).collect()
+        finally:
+            spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+        got = {r["pos"]: r["reach"] for r in found}
+        assert all(got[i] >= n for i, n in want.items())
+        if size > len(rows):
+            last = max(rows)[3]
+            assert sum(got[i] > want[i] for i in want) <= 2 + sum(1 for r in rows if r[2] == max(rows)[2] and shared(r[0], max(rows)[0])), last
+
+
 def test_shuffle_files_go_when_a_table_is_written(spark):
     from normgraph.llm import common
 
